@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from unionlake.llm import covering, decontaminate, fingerprint, license_scan, packing, token_store, warc
+from unionlake.llm import covering, decontaminate, fingerprint, langid, license_scan, packing, ppm, token_store, toxicity, warc
 from unionlake.llm.common import table
 
 
@@ -14,6 +14,14 @@ def op1_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint.edited_report(spark, table(spark, sf_dir, "documents"))
 
 
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.classify(spark, table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op3_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.identify(spark, table(spark, sf_dir, "documents"))
+
+
 def op4_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan(spark, table(spark, sf_dir, "documents"))
 
@@ -30,6 +38,10 @@ def op7_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.round_trip(spark, table(spark, sf_dir, "documents"))
 
 
+def op8_ppm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ppm.score(spark, table(spark, sf_dir, "documents"))
+
+
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return covering.link_components(spark, table(spark, sf_dir, "documents"))
 
@@ -41,10 +53,13 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_fingerprints": op1_fingerprints,
+        "op2_toxicity": op2_toxicity,
+        "op3_language": op3_language,
         "op4_license_scan": op4_license_scan,
         "op5_decontaminate": op5_decontaminate,
         "op6_packing": op6_packing,
         "op7_token_store": op7_token_store,
+        "op8_ppm": op8_ppm,
         "op9_simhash": op9_simhash,
         "op10_warc": op10_warc,
     }
