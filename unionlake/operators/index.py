@@ -133,12 +133,12 @@ class Index:
         return K.ProximityGraph(self.centroids, links, beam)
 
 
-def build(cols: DataFrame, dim: int, n_c: int | None = None, rounds: int = 10, rho_low: float = 0.35, rho_high: float = 0.80, spherical: bool = False, adapt: bool = True) -> Index:
+def build(cols: DataFrame, dim: int, n_c: int | None = None, rounds: int = 10, rho_low: float = 0.35, rho_high: float = 0.80, spherical: bool = False, adapt: bool = True, centroids: np.ndarray | None = None) -> Index:
     """One shuffle by set for the set layout, one aggregate for the counts; partitions need none."""
     if rho_low >= rho_high:
         raise ValueError("rho_low must be below rho_high")
-    n_c = n_c or default_centroids(cols.count())
-    centroids = fit_centroids(cols, n_c, rounds, spherical=spherical)
+    if centroids is None:
+        centroids = fit_centroids(cols, n_c or default_centroids(cols.count()), rounds, spherical=spherical)
     assigned = assign(cols, centroids)
     packed = assigned.groupBy("set_id").agg(F.array_sort(F.collect_list(F.struct("pos", "c", "v"))).alias("s"))
     packed = packed.select("set_id", F.size("s").alias("n"), F.flatten(F.transform("s", lambda x: x["v"])).alias("flat"), F.transform("s", lambda x: x["c"]).alias("codes"))
