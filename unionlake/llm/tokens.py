@@ -8,15 +8,14 @@ token go through the library whole. Tests hold this against the library on whole
 from __future__ import annotations
 
 import re
-from collections.abc import Iterable
+import sys
+from array import array
 from functools import cache
-from itertools import chain
 
-import numpy as np
-
-#: How the vocabulary file splits ASCII text before the merges; other text is left to the library.
-_SPLIT = re.compile(rb"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\sa-z0-9]+")
-_PLAIN = re.compile(rb"[\x21-\x7e]+")
+#: Pieces of printable ASCII and of the Latin letters that need no normalisation; the library takes all others.
+_PLAIN = re.compile("[\x21-\x7e\xc0-\xd6\xd8-\xf6\xf8-\xff]+")
+#: How the vocabulary file splits such text, once it is lower case, before the merges.
+_SPLIT = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-z\xdf-\xf6\xf8-\xff]+|[0-9]|[^a-z0-9\xdf-\xf6\xf8-\xff]+")
 
 
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
@@ -25,54 +24,66 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
+def _byte_letters() -> dict[int, str]:
+    """How the vocabulary spells bytes: printable ones as themselves, the others from U+0100 on."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in plain]
+    return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(rest)}
+
+
+class _Words(dict):
+    def __init__(self, tokenize, entries: int):
+        self.tokenize, self.entries, self.letters = tokenize, entries, _byte_letters()
+
+    def __missing__(self, word: str) -> bytes:
+        if len(self) > self.entries:
+            self.clear()
+        spelt = word if word.isascii() else word.encode().decode("latin-1").translate(self.letters)
+        out = self[word] = array("I", [t.id for t in self.tokenize(spelt)]).tobytes()
+        return out
+
+
+class _Pieces(dict):
+    def __init__(self, lib, entries: int):
+        self.lib, self.entries, self.words = lib, entries, _Words(lib.model.tokenize, entries)
+
+    def __missing__(self, piece: bytes) -> bytes:
+        if len(self) > self.entries:
+            self.clear()
+        text = piece.decode()
+        if _PLAIN.fullmatch(text):
+            out = b"".join(map(self.words.__getitem__, _SPLIT.findall(text.lower())))
+        else:
+            out = array("I", self.lib.encode(text, add_special_tokens=False).ids).tobytes()
+        self[piece] = out
+        return out
+
+
 class PieceEncoder:
     """ids as little-endian 32-bit bytes. At most `entries` pieces and as many words are remembered."""
 
-    def __init__(self, path: str, entries: int = 800_000):
+    def __init__(self, path: str, entries: int = 600_000):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
+        if array("I").itemsize != 4 or sys.byteorder != "little":
+            raise RuntimeError("ids need 32-bit little-endian integers")
         self.lib = Tokenizer.from_file(path)
-        self.entries = entries
-        self.pieces: dict[bytes, bytes] = {}
-        self.words: dict[bytes, bytes] = {}
+        self.pieces = _Pieces(self.lib, entries)
         self.special = tuple(t.content for t in self.lib.get_added_tokens_decoder().values())
 
-    def _whole(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.lib.encode_batch_fast(texts, add_special_tokens=False)]
-
-    def _learn(self, missing: Iterable[bytes]) -> None:
-        if len(self.pieces) > self.entries:
-            self.pieces.clear()
-        if len(self.words) > self.entries:
-            self.words.clear()
-        words, tokenize, other = self.words, self.lib.model.tokenize, []
-        for piece in missing:
-            if not _PLAIN.fullmatch(piece):
-                other.append(piece)
-                continue
-            out = []
-            for w in _SPLIT.findall(piece.lower()):
-                ids = words.get(w)
-                if ids is None:
-                    ids = words[w] = np.array([t.id for t in tokenize(w.decode())], "<u4").tobytes()
-                out.append(ids)
-            self.pieces[piece] = b"".join(out)
-        self.pieces.update(zip(other, self._whole([p.decode() for p in other]), strict=True))
-
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """The ids of each text; a null is empty."""
-        split = [(t or "").encode("utf-8", "replace").split() for t in texts]
-        missing = set(chain.from_iterable(split)).difference(self.pieces)
-        if missing:
-            self._learn(missing)
         got = self.pieces.__getitem__
-        out = [b"".join(map(got, s)) for s in split]
-        for i, t in enumerate(texts):
-            if t and "<|" in t and any(s in t for s in self.special):
-                out[i] = self._whole([t])[0]
+        out = []
+        for t in texts:
+            t = t or ""
+            if "<|" in t and any(s in t for s in self.special):
+                out.append(array("I", self.lib.encode(t, add_special_tokens=False).ids).tobytes())
+            else:
+                out.append(b"".join(map(got, t.encode("utf-8", "replace").split())))
         return out
 
 
