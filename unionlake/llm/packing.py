@@ -68,7 +68,7 @@ def candidates(ids: np.ndarray, doc_ends: np.ndarray, sentence: np.ndarray, clau
     return at, far[at]
 
 
-def pack(spark: SparkSession, docs: DataFrame, size: int = 2048, end_id: int = 1, tokenizer: str | None = None, shard_bytes: int = 8 << 20, stride: int = 16, chunk: int = 1 << 19) -> DataFrame:
+def pack(spark: SparkSession, docs: DataFrame, size: int = 2048, end_id: int = 1, tokenizer: str | None = None, shard_bytes: int = 8 << 20, stride: int = 64, chunk: int = 1 << 19) -> DataFrame:
     """One row per piece. A task streams its shard and solves `chunk` ids at a time; the last window goes on into the next chunk."""
     path = tokenizer or tokenizer_path()
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text"))
