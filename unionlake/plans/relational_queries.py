@@ -288,16 +288,21 @@ def rank_family(spark, sf):
     return t(spark, sf, "part").select("p_partkey", F.rank().over(w).alias("r"), F.dense_rank().over(w).alias("dr"), F.ntile(4).over(Window.partitionBy("p_brand").orderBy("p_size", "p_partkey")).alias("quarter"), F.round(F.percent_rank().over(w) * 1e6).cast("bigint").alias("pr6"))
 
 
-QW = Window.partitionBy("query_id").orderBy("rank")
+
+
+def by_rank():
+    return Window.partitionBy("query_id").orderBy("rank")
+
+
 EXT = (sq.VC, sq.MS, sq.QS, sq.NQ, sq.PR, sq.ED, sq.dp("ed", True), sq.ALL_U, f"ex AS ({sq.top_sql('allu', sq.TOP)})")
 query("score_gap", W(*EXT) + " SELECT query_id, rank, score6 - lead(score6) OVER w AS gap, first_value(score6) OVER w AS best FROM ex WINDOW w AS (PARTITION BY query_id ORDER BY rank)")(
-    lambda s, d: sq.REGISTRY["topk_exact_card"](s, d).select("query_id", "rank", (F.col("score6") - F.lead("score6").over(QW)).alias("gap"), F.first("score6").over(QW).alias("best"))
+    lambda s, d: sq.REGISTRY["topk_exact_card"](s, d).select("query_id", "rank", (F.col("score6") - F.lead("score6").over(by_rank())).alias("gap"), F.first("score6").over(by_rank()).alias("best"))
 )
 query("running_sum", W(*EXT) + " SELECT query_id, rank, CAST(sum(score6) OVER (PARTITION BY query_id ORDER BY rank ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS last3 FROM ex")(
-    lambda s, d: sq.REGISTRY["topk_exact_card"](s, d).select("query_id", "rank", F.sum("score6").over(QW.rowsBetween(-2, 0)).alias("last3"))
+    lambda s, d: sq.REGISTRY["topk_exact_card"](s, d).select("query_id", "rank", F.sum("score6").over(by_rank().rowsBetween(-2, 0)).alias("last3"))
 )
 query("cumulative_recall", W(*TWO) + " SELECT query_id, ex.rank, CAST(count(qz.set_id) OVER (PARTITION BY query_id ORDER BY ex.rank) AS BIGINT) AS found FROM ex LEFT JOIN qz USING (query_id, set_id)")(
-    lambda s, d: (lambda x: x[0].join(x[1].select("query_id", "set_id", F.lit(1).alias("hit")), ["query_id", "set_id"], "left").select("query_id", "rank", F.count("hit").over(QW.rowsBetween(Window.unboundedPreceding, 0)).alias("found")))(_two(s, d))
+    lambda s, d: (lambda x: x[0].join(x[1].select("query_id", "set_id", F.lit(1).alias("hit")), ["query_id", "set_id"], "left").select("query_id", "rank", F.count("hit").over(by_rank().rowsBetween(Window.unboundedPreceding, 0)).alias("found")))(_two(s, d))
 )
 query("topk_single", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10")(lambda s, d: t(s, d, "orders").select("o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(10))
 query("topk_page", "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10 OFFSET 10")(lambda s, d: t(s, d, "orders").orderBy(F.desc("o_totalprice"), "o_orderkey").offset(10).limit(10).select("o_orderkey"))
