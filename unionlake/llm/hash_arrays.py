@@ -13,22 +13,30 @@ class HashArray:
 
     def __init__(self, keys: np.ndarray):
         spread = keys.astype(np.uint64) * SPREAD
-        self.order = np.argsort(spread, kind="stable")
-        self.spread = spread[self.order]
+        self.order = np.argsort(spread, kind="stable")  # of the rows as given; users let go of it once values are in this order
+        spread = spread[self.order]
         bits = max(1, int(len(keys) * 2).bit_length())
         self.shift = np.uint64(64 - bits)
-        self.first = np.searchsorted(self.spread >> self.shift, np.arange((1 << bits) + 1, dtype=np.uint64)).astype(np.int32)
+        self.first = np.searchsorted(spread >> self.shift, np.arange((1 << bits) + 1, dtype=np.uint64)).astype(np.int32)
         self.longest = int(np.diff(self.first).max()) if len(keys) else 0
-        self.padded = np.append(self.spread, np.uint64(0))  # a read at the end finds nothing wrong
+        self.padded = np.append(spread, np.uint64(0))  # a read at the end finds nothing wrong
+
+    def sort(self, values: np.ndarray) -> np.ndarray:
+        """Values of the keys as given, in the order of the rows."""
+        return values[self.order]
+
+    def __getstate__(self) -> dict:
+        return self.__dict__ | {"order": None}
 
     def rows(self, keys: np.ndarray) -> np.ndarray:
         """The row of each key in the sorted order, -1 where it is absent."""
+        size = len(self.padded) - 1
+        if not size:
+            return np.full(len(keys), -1, np.int32)
         want = keys * SPREAD
         at = self.first[want >> self.shift]
-        if not len(self.spread):
-            return np.full(len(keys), -1, np.int32)
         hit = self.padded[at] == want
-        hit &= at < len(self.spread)
+        hit &= at < size
         out = np.where(hit, at, np.int32(-1))
         todo = np.flatnonzero(~hit)
         for _ in range(1, self.longest):
@@ -36,8 +44,8 @@ class HashArray:
                 break
             w = want[todo]
             nxt = at[todo] + 1
-            inside = self.padded[np.minimum(nxt, len(self.spread))] <= w
-            inside &= nxt < len(self.spread)
+            inside = self.padded[np.minimum(nxt, size)] <= w
+            inside &= nxt < size
             todo, nxt, w = todo[inside], nxt[inside], w[inside]
             at[todo] = nxt
             found = self.padded[nxt] == w

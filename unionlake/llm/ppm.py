@@ -106,7 +106,7 @@ def counts(docs: DataFrame, order: int, modulus: int = 7, held: int = 2) -> Data
 
 def frequent(df: DataFrame, most: int) -> tuple[int, DataFrame]:
     """The least count such that at most `most` keys have it or more, and those keys."""
-    spread = sorted(((r["n"], r["keys"]) for r in df.groupBy("n").agg(F.count("*").alias("keys")).orderBy(F.desc("keys")).collect()), reverse=True)
+    spread = sorted(((r["n"], r["keys"]) for r in df.groupBy("n").agg(F.count("*").alias("keys")).collect()), reverse=True)  # a row per distinct count
     total, least = 0, (spread[0][0] + 1) if spread else 1
     for n, k in spread:
         if total + k > most:
@@ -183,6 +183,19 @@ class Trie:
         return np.add.reduceat(self.log10(key), np.searchsorted(places, begins + self.order)) if len(texts) else np.zeros(0)
 
 
+def packed(column: pa.ChunkedArray, width: int) -> np.ndarray:
+    """Byte strings of one width as numbers, the first byte highest."""
+    out = [np.zeros(0, np.uint64)]
+    for chunk in column.chunks:
+        ends = np.frombuffer(chunk.buffers()[1], np.int32)[chunk.offset : chunk.offset + len(chunk) + 1]
+        if len(chunk):
+            raw = np.frombuffer(chunk.buffers()[2], np.uint8)[ends[0] : ends[-1]].reshape(-1, width)
+            wide = np.zeros((len(raw), 8), np.uint8)
+            wide[:, 8 - width :] = raw
+            out.append(wide.view(">u8").ravel().astype(np.uint64))
+    return np.concatenate(out)
+
+
 def train(spark: SparkSession, runs: DataFrame, order: int, most_nodes: int = 1 << 21) -> Trie:
     """The trie from byte runs (key, n) of order + 1 bytes. Each order keeps at most most_nodes runs, the most frequent ones."""
     tables, least = [], 1
@@ -192,8 +205,7 @@ def train(spark: SparkSession, runs: DataFrame, order: int, most_nodes: int = 1
             least, kept = frequent(short, most_nodes)
             short = kept
         got = short.select("key", "n").toArrow()  # at most most_nodes rows
-        raw = b"".join(x.rjust(8, b"\0") for x in got.column("key").to_pylist())
-        tables.append((np.frombuffer(raw, ">u8").astype(np.uint64), got.column("n").to_numpy()))
+        tables.append((packed(got.column("key"), k + 1), got.column("n").to_numpy()))
     return Trie(tables[::-1])
 
 
