@@ -28,7 +28,6 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from unionlake.llm.common import checkpointed, id_remainder
-from unionlake.llm.langid import sample
 
 SCHEMA = "doc_id bigint, held_out boolean, score double, predicted int, clauses int"
 
@@ -183,10 +182,20 @@ def fit_line(points: list[tuple[float, int, float]], rounds: int = 50) -> tuple[
     return max(a, 0.05), b
 
 
-def labelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """(text, toxic) of the documents with a label; toxic if any label of the document says so."""
+def labelled(docs: DataFrame, labels: DataFrame, most_per_label: int = 6000) -> tuple[DataFrame, dict[int, int]]:
+    """(text, toxic) of at most about most_per_label labelled documents of each kind, and how many labels of each kind there are.
+
+    A document is toxic if any label of it says so. The sample is drawn from the labels by a hash of
+    the id, so it is small before it meets the documents, and goes to their scan as a broadcast.
+    """
     marks = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max(F.col("toxic").cast("int")).alias("toxic"))
-    return docs.select("doc_id", "text").join(marks, "doc_id").where("text is not null").select("text", "toxic")
+    sizes = {r["toxic"]: r["n"] for r in marks.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+    share = F.pmod(F.xxhash64(F.lit(11), "doc_id"), F.lit(1_000_003)) / 1_000_003.0
+    kept = F.lit(False)
+    for kind, n in sizes.items():
+        kept = kept | ((F.col("toxic") == kind) & (share < most_per_label / n))
+    few = marks.where(kept).coalesce(1)
+    return docs.select("doc_id", "text").join(F.broadcast(few), "doc_id").where("text is not null").select("text", "toxic"), sizes
 
 
 def _terms(text: str, lengths: tuple[int, ...]) -> set[str]:
@@ -194,14 +203,13 @@ def _terms(text: str, lengths: tuple[int, ...]) -> set[str]:
     return words | {w[:n] + "*" for w in words for n in lengths if len(w) > n}
 
 
-def train(spark: SparkSession, known: DataFrame, most_per_label: int = 6000, stems: tuple[int, ...] = (4, 5, 6, 7, 8, 9), purity: float = 0.3) -> Scorer:
-    """Fits lexicon and weights on at most about most_per_label toxic and as many clean texts of `known` (text, toxic).
+def train(spark: SparkSession, known: DataFrame, sizes: dict[int, int], stems: tuple[int, ...] = (4, 5, 6, 7, 8, 9), purity: float = 0.3) -> Scorer:
+    """Fits lexicon and weights on `known` (text, toxic), a bounded sample of texts; sizes: how many of each kind it stands for.
 
     A term may enter if its share of clean texts is at most `purity` of its share of toxic ones. Its
     weight is the log ratio of the two shares.
     """
-    sizes = {r["toxic"]: r["n"] for r in known.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
-    rows = checkpointed(spark, sample(known, "toxic", most_per_label, 11).select("text", "toxic"), "labelled")
+    rows = checkpointed(spark, known, "labelled")
     totals = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     words = {w: (c, SEED_WEIGHT if c in "IT" else 0.0) for c, line in SEEDS.items() for w in line.split()}
     n_toxic, n_clean = totals.get(1, 0), totals.get(0, 0)
@@ -289,12 +297,12 @@ def score(spark: SparkSession, docs: DataFrame, scorer: Scorer, held_out: Column
 def classify(spark: SparkSession, docs: DataFrame, labels: DataFrame, modulus: int = 5, held: int = 0) -> DataFrame:
     """One row per document, learned from the labels of documents whose id's remainder is not `held`."""
     out = id_remainder("doc_id", modulus) == held
-    return score(spark, docs, train(spark, labelled(docs.where(~out), labels)), out)
+    return score(spark, docs, train(spark, *labelled(docs, labels.where(~out))), out)
 
 
 def accept(spark: SparkSession, docs: DataFrame, labels: DataFrame, modulus: int = 5, held: int = 0, limit: float = 0.5) -> DataFrame:
     """The rows of docs, all columns, that score below the limit."""
-    scorer = train(spark, labelled(docs.where(id_remainder("doc_id", modulus) != held), labels))
+    scorer = train(spark, *labelled(docs, labels.where(id_remainder("doc_id", modulus) != held)))
     shared, at = spark.sparkContext.broadcast(scorer), docs.columns.index("text")
 
     def run(batches):
