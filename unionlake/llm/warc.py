@@ -23,7 +23,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unionlake.llm.common import partitions_for, shared_folder
+from unionlake.llm.common import shared_folder
 
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 SEGMENTS = "origin string, number int, last boolean, total bigint, page_id bigint, kind string, refers_to bigint, said_digest string, block binary"
@@ -117,28 +117,38 @@ def revisits(pages: DataFrame, revisit_bytes: int = 1000) -> DataFrame:
     return light.distinct().join(last.drop("n"), "copy_key").where("page_id < refers_to")
 
 
-def write_archives(spark: SparkSession, pages: DataFrame, folder: str | None = None, revisit_bytes: int = 1000, segment_bytes: int = 32 << 10, archive_bytes: int = 16 << 20) -> list[str]:
-    """Writes one archive per task and returns the paths. A task writes under its own name and renames at the end."""
+def write_archives(spark: SparkSession, pages: DataFrame, folder: str | None = None, revisit_bytes: int = 1000, segment_bytes: int = 32 << 10, archive_bytes: int = 64 << 20) -> list[str]:
+    """Writes archives of about archive_bytes and returns the paths. A task writes under names of its own and renames each archive at its end."""
     folder = folder or shared_folder(spark, "warc")
     pages = pages.select(F.col("page_id").cast("bigint").alias("page_id"), "url", "html")
     again = revisits(pages, revisit_bytes).withColumnsRenamed({"page_id": "_id", "copy_key": "_key"})
     rows = pages.join(again, (F.col("page_id") == F.col("_id")) & (F.sha2(_payload(), 256) == F.col("_key")), "left")
     rows = rows.select("page_id", "url", _payload().alias("payload"), F.sha1(_payload()).alias("digest"), "refers_to")
-    rows = rows.repartition(partitions_for(pages, "html", archive_bytes), F.xxhash64("page_id", "url"))
 
     def write(batches):
         fs, root = pafs.FileSystem.from_uri(folder)
         fs.create_dir(root, recursive=True)
-        name, sink = f"{root}/part-{uuid.uuid4().hex}.warc.gz", None
+        name, sink, done = "", None, []
+
+        def close():
+            sink.close()
+            fs.move(name + ".part", name)
+            done.append(name.rsplit("/", 1)[1])
+
         for batch in batches:
             for r in batch.to_pylist():
-                sink = sink or fs.open_output_stream(name + ".part", compression=None)
+                if sink is None:
+                    name = f"{root}/part-{uuid.uuid4().hex}.warc.gz"
+                    sink = fs.open_output_stream(name + ".part", compression=None)
                 for headers, block in page_records(r["page_id"], r["url"] or "urn:none", r["payload"], r["digest"], r["refers_to"], r["refers_to"] is not None, segment_bytes):
                     sink.write(record(headers, block))
+                if sink.tell() > archive_bytes:
+                    close()
+                    sink = None
         if sink is not None:
-            sink.close()
-            fs.move(name + ".part", name)
-            yield pa.RecordBatch.from_pydict({"name": [name.rsplit("/", 1)[1]]})
+            close()
+        if done:
+            yield pa.RecordBatch.from_pydict({"name": done})
 
     return sorted(f"{folder}/{r['name']}" for r in rows.mapInArrow(write, "name string").collect())  # a name per archive
 
