@@ -23,3 +23,28 @@ def test_relational_lake(spark):
 def test_refinement_recall_rises_with_candidates(spark):
     r = [x["recall"] for x in wq._sweep(spark, SF, "phi_ref", [6, 24, 120], phi_c=32, stages=("refine",)).orderBy("phi_ref").collect()]
     assert r == sorted(r) and r[-1] > r[0]
+
+
+def test_index_store_and_source(spark, tmp_path):
+    import pytest
+
+    from unionlake.operators import search as se
+    from unionlake.plans import search_queries as sq
+    from unionlake.sources import store
+
+    index, q = sq.plain_index(spark, SF, adapt=True), sq.queries_of(spark, SF)
+    folder = "file://" + str(tmp_path)
+    store.save(index, folder, 1, buckets=4)
+    m = store.save(index, folder, 2, buckets=4)
+    assert m["sets"] == 84 and [r["version"] for r in store.versions(spark, folder).orderBy("version").collect()] == [1, 2]
+    got = se.union_search(store.load(spark, folder), q, sq.PLAN).orderBy("query_id", "rank").collect()
+    assert got == se.union_search(index, q, sq.PLAN).orderBy("query_id", "rank").collect()
+    with pytest.raises(FileNotFoundError):
+        store.load(spark, folder, 9)
+    spark.dataSource.register(store.VecSetSource)
+    sets = spark.read.format("vecset").load(f"{folder}/version=2/sets")
+    assert sets.count() == 84
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    for pushdown in ("false", "true"):
+        sets = spark.read.format("vecset").option("pushdown", pushdown).load(f"{folder}/version=2/sets")
+        assert sorted(r["set_id"] for r in sets.where("set_id >= 10 and set_id <= 12").collect()) == [10, 11, 12]
