@@ -23,7 +23,7 @@ from unionlake.llm.common import id_remainder
 from unionlake.llm.hash_arrays import HashArray
 
 SCHEMA = "doc_id bigint, held_out boolean, lang_pred string, score double, cross_entropy double, rejected boolean"
-PIECE = 1 << 21
+PIECE = 1 << 18
 
 
 class Alphabet:

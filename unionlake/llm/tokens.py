@@ -62,7 +62,7 @@ class _Pieces(dict):
 class PieceEncoder:
     """ids as little-endian 32-bit bytes. At most `entries` pieces and as many words are remembered."""
 
-    def __init__(self, path: str, entries: int = 600_000):
+    def __init__(self, path: str, entries: int = 400_000):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")

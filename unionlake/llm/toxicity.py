@@ -102,7 +102,7 @@ class Scorer:
     """words: class and weight of each word; stems: weight of each beginning of insults; a text's sum z of its clauses
     scores the logistic of slope * z + bias."""
 
-    def __init__(self, words: dict[str, tuple[str, float]], stems: dict[str, float], factors: dict[str, float], slope: float = 1.0, bias: float = -3.0, remembered: int = 1_000_000):
+    def __init__(self, words: dict[str, tuple[str, float]], stems: dict[str, float], factors: dict[str, float], slope: float = 1.0, bias: float = -3.0, remembered: int = 250_000):
         self.words = {w.encode(): x for w, x in words.items()}
         self.stems = {w.encode(): ("I", x) for w, x in stems.items()}
         self.lengths = sorted({len(w) for w in self.stems}, reverse=True)
