@@ -130,6 +130,45 @@ def test_near_copies_go_and_others_stay(spark):
     assert near_dedup.keep_first(spark, docs.where("false")).count() == 0
 
 
+def brute_firsts(texts):
+    """The smallest id of each component of the texts {id: text} under the pipeline's similarity."""
+    sets = {i: set(covering.shingle_hashes(t.encode().split(), 5)) for i, t in texts.items()}
+    root = {i: i for i in texts}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    ids = sorted(texts)
+    for n, a in enumerate(ids):
+        for b in ids[n + 1 :]:
+            if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]):
+                x, y = find(a), find(b)
+                root[max(x, y)] = min(x, y)
+    return {find(i) for i in ids}
+
+
+def kept_of(spark, texts):
+    docs = spark.createDataFrame(list(texts.items()), "doc_id bigint, text string")
+    return {r["doc_id"] for r in near_dedup.keep_first(spark, docs).collect()}
+
+
+def test_edits_of_a_source_with_the_largest_id(spark):
+    rng = random.Random(3)
+    source = [f"s{i}" for i in range(300)]
+    texts = {300: " ".join(source)}
+    for c in range(300):
+        w = list(source)
+        for i in rng.sample(range(0, 300, 8), 6):  # below the similarity between two edits, above it to the source
+            w[i] = f"e{c}x{i}"
+        texts[c] = " ".join(w)
+    sets = [set(covering.shingle_hashes(t.encode().split(), 5)) for t in texts.values()]
+    far = sum(len(a & b) < 0.8 * len(a | b) for i, a in enumerate(sets[1:]) for b in sets[i + 2 :])
+    assert far > 0.9 * 300 * 299 / 2
+    assert brute_firsts(texts) == {0} == kept_of(spark, texts)
+
+
 def test_chunks_and_records():
     for n in (0, 1, 8192, 20_000):
         p = bytes(range(256)) * (n // 256) + b"x" * (n % 256)
