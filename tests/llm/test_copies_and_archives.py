@@ -169,6 +169,17 @@ def test_edits_of_a_source_with_the_largest_id(spark):
     assert brute_firsts(texts) == {0} == kept_of(spark, texts)
 
 
+def test_short_near_copies(spark):
+    rng = random.Random(4)
+    texts = {}
+    for g in range(60):
+        w = [f"w{rng.randrange(10**6)}" for _ in range(8 + g % 20)]
+        texts[2 * g], texts[2 * g + 1] = " ".join(w), " ".join([*w, "more"])
+    firsts = brute_firsts(texts)
+    assert len(firsts) < 70
+    assert kept_of(spark, texts) == firsts
+
+
 def test_chunks_and_records():
     for n in (0, 1, 8192, 20_000):
         p = bytes(range(256)) * (n // 256) + b"x" * (n % 256)
