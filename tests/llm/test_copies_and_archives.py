@@ -180,6 +180,22 @@ def test_short_near_copies(spark):
     assert kept_of(spark, texts) == firsts
 
 
+def test_a_repeated_passage_and_edited_blocks(spark):
+    rng = random.Random(5)
+    texts = {}
+    for g in range(8):
+        w = [f"w{rng.randrange(10**6)}" for _ in range(800)]
+        texts[10 * g], texts[10 * g + 1] = " ".join(w), " ".join(w + w[100:140] * 60)  # the fingerprint follows the passage
+        for c in range(2, 5):  # edits all over the text, so that few blocks are left whole
+            e = list(w)
+            for i in range(20 + c, 780, 45):
+                e[i] = f"e{c}x{i}"
+            texts[10 * g + c] = " ".join(e)
+    firsts = brute_firsts(texts)
+    assert firsts == {10 * g for g in range(8)}
+    assert kept_of(spark, texts) == firsts
+
+
 def test_chunks_and_records():
     for n in (0, 1, 8192, 20_000):
         p = bytes(range(256)) * (n // 256) + b"x" * (n % 256)
