@@ -172,6 +172,14 @@ def test_ppm(spark, odd, docs):
     assert ppm.score(spark, odd, order=2).count() == len(ODD) and ppm.score(spark, odd.where("false"), order=2).count() == 0
 
 
+def test_ppm_drops_no_run(spark, docs):
+    small = docs.where("doc_id < 30")
+    full = ppm.score(spark, small, order=3).toPandas().set_index("doc_id").score
+    for most in (0, 300):  # runs beyond those in the broadcast are joined
+        cut = ppm.score(spark, small, order=3, most_nodes=most).toPandas().set_index("doc_id").score
+        assert len(cut) == len(full) and all(cut[i] == pytest.approx(full[i]) for i in full.index)
+
+
 def test_language(spark, docs, odd):
     r = langid.identify(spark, docs).toPandas().merge(docs.toPandas()[["doc_id", "lang"]], on="doc_id")
     held = r[r.held_out]

@@ -12,6 +12,11 @@ all places of a batch are scored at once.
 The base score of the contract, add-one word frequencies, is computed beside it: frequent words
 from a bounded broadcast table, all others by a join, so that vocabulary may grow with the corpus.
 
+The trie grows with the corpus too. While it fits it is a broadcast. Beyond that the most frequent
+runs are a broadcast table of their probabilities, and every other run of the texts gets its own by
+a join: all contexts of a run of two bytes or more end in the same bytes, so the full counts are cut
+by those bytes into small tries, and no counted run is dropped.
+
 Defined results: null texts count as empty (the end alone); rows with a null id are in training
 (crc32 of the empty text is 0); repeated rows are scored and counted each; an empty table gives an
 empty result; extra columns are ignored.
@@ -196,20 +201,76 @@ def packed(column: pa.ChunkedArray, width: int) -> np.ndarray:
     return np.concatenate(out)
 
 
-def train(spark: SparkSession, runs: DataFrame, order: int, most_nodes: int = 1 << 21) -> Trie:
-    """The trie from byte runs (key, n) of order + 1 bytes. Each order keeps at most most_nodes runs, the most frequent ones."""
-    tables, least = [], 1
-    for k in range(order, -1, -1):
-        short = runs if k == order else runs.select(F.substring("key", order - k + 1, k + 1).alias("key"), "n").groupBy("key").agg(F.sum("n").alias("n"))
-        if k >= 2:
-            least, kept = frequent(short, most_nodes)
-            short = kept
-        got = short.select("key", "n").toArrow()  # at most most_nodes rows
-        tables.append((packed(got.column("key"), k + 1), got.column("n").to_numpy()))
-    return Trie(tables[::-1])
+class Head:
+    """keys, logs: the most frequent byte runs of order + 1 bytes and the log10 of their probabilities."""
+
+    def __init__(self, keys: np.ndarray, logs: np.ndarray, order: int):
+        self.order, self.table = order, HashArray(keys)
+        self.logs = np.append(logs[self.table.order], 0.0)  # the last place stands for runs not in the table
+
+    def score(self, texts: list[bytes]) -> tuple[np.ndarray, pa.ListArray]:
+        """log10 probability of the known runs of each text, and its other runs with their counts."""
+        joined, begins = stream(texts, self.order)
+        key, places = grams(joined, begins, self.order)
+        starts = np.searchsorted(places, begins + self.order)
+        row = self.table.rows(key)
+        other = np.flatnonzero(row < 0)
+        text, run = np.searchsorted(starts, other, "right") - 1, key[other]
+        by = np.lexsort((run, text))
+        text, run = text[by], run[by]
+        first = np.flatnonzero(np.concatenate(([True], (text[1:] != text[:-1]) | (run[1:] != run[:-1])))) if len(run) else np.zeros(0, np.int64)
+        times = np.diff(np.append(first, len(run)))
+        offsets = np.searchsorted(text[first], np.arange(len(texts) + 1)).astype(np.int32)
+        pairs = pa.StructArray.from_arrays([pa.array(run[first].astype(np.int64)), pa.array(times.astype(np.int64))], ["key", "n"])
+        return np.add.reduceat(self.logs[row], starts), pa.ListArray.from_arrays(pa.array(offsets), pairs)
+
+
+def shortened(runs: DataFrame, order: int, k: int) -> DataFrame:
+    """(key, n) of the runs of k + 1 bytes."""
+    return runs if k == order else runs.select(F.substring("key", order - k + 1, k + 1).alias("key"), "n").groupBy("key").agg(F.sum("n").alias("n"))
+
+
+def arrays(short: DataFrame, k: int) -> tuple[np.ndarray, np.ndarray]:
+    got = short.select("key", "n").toArrow()
+    return packed(got.column("key"), k + 1), got.column("n").to_numpy()
+
+
+def train(runs: DataFrame, order: int) -> Trie:
+    """The trie from all byte runs (key, n) of order + 1 bytes."""
+    return Trie([arrays(shortened(runs, order, k), k) for k in range(order + 1)])
+
+
+def train_head(runs: DataFrame, order: int, most_nodes: int) -> Head:
+    """The probabilities of at most most_nodes frequent runs, from the full counts of their contexts."""
+    totals = runs.groupBy(F.substring("key", 1, order).alias("context")).agg(F.sum("n").alias("total"))
+    _, kept = frequent(runs, most_nodes)
+    got = kept.withColumn("context", F.substring("key", 1, order)).join(totals, "context").select("key", F.log10((F.col("n") - 0.5) / F.col("total")).alias("log")).toArrow()
+    return Head(packed(got.column("key"), order + 1), got.column("log").to_numpy(), order)
+
+
+def run_logs(spark: SparkSession, runs: DataFrame, wanted: DataFrame, order: int, total: int, shard_rows: int = 1 << 17) -> DataFrame:
+    """(key, log): log10 of the probability of each wanted run, from the full counts; total: how many runs are counted.
+
+    Runs are cut by the last bytes of their contexts; what is shorter than those is small and a broadcast.
+    """
+    depth = min(order, 2 if total <= 1 << 26 else 3)
+    small = spark.sparkContext.broadcast([arrays(shortened(runs, order, k), k) for k in range(depth)])
+    shard = F.pmod(F.xxhash64(F.shiftright("key", 8).bitwiseAND(F.lit((1 << (8 * depth)) - 1))), F.lit(-(-total // shard_rows))).cast("int").alias("shard")
+    counted = runs.select(F.conv(F.hex("key"), 16, 10).cast("bigint").alias("key"), "n").select("key", "n", shard)
+
+    def solve(left: pa.Table, right: pa.Table) -> pa.Table:
+        keys, ns = left.column("key").to_numpy().astype(np.uint64), left.column("n").to_numpy()
+        tables = list(small.value)
+        for k in range(depth, order + 1):
+            own, back = np.unique(keys & np.uint64((1 << (8 * (k + 1))) - 1), return_inverse=True)
+            tables.append((own, np.bincount(back, ns, len(own))))
+        asked = right.column("key").to_numpy()
+        return pa.table({"key": asked, "log": Trie(tables).log10(asked.astype(np.uint64))})
+
+    return counted.groupBy("shard").cogroup(wanted.select("key", shard).groupBy("shard")).applyInArrow(solve, "key bigint, log double")
 
 
-def score(spark: SparkSession, docs: DataFrame, order: int = 5, head_words: int = 200_000, modulus: int = 7, held: int = 2) -> DataFrame:
+def score(spark: SparkSession, docs: DataFrame, order: int = 5, head_words: int = 200_000, modulus: int = 7, held: int = 2, most_nodes: int = 1 << 21) -> DataFrame:
     """One row per document: the base score over words and the model's score over bytes."""
     docs = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
     counted = checkpointed(spark, counts(docs, order, modulus, held), "counts")
@@ -220,15 +281,19 @@ def score(spark: SparkSession, docs: DataFrame, order: int = 5, head_words: int
     _, head = frequent(words, head_words)
     got = head.toArrow()  # at most head_words rows
     table = dict(zip(got.column("key").to_pylist(), got.column("n").to_pylist(), strict=True))
-    shared = spark.sparkContext.broadcast((table, train(spark, counted.where("kind = 1").select("key", "n"), order)))
+    runs = counted.where("kind = 1").select("key", "n")
+    n_runs = runs.count()
+    whole = n_runs <= most_nodes
+    shared = spark.sparkContext.broadcast((table, train(runs, order) if whole else train_head(runs, order, most_nodes)))
     end_log = math.log10(ends + 1)
-    schema = "row_id bigint, doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, head_logs double, score double, tail array<struct<key:binary,n:bigint>>"
+    schema = "row_id bigint, doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, head_logs double, score double, tail array<struct<key:binary,n:bigint>>, runs array<struct<key:bigint,n:bigint>>"
 
     def run(batches):
         from pyspark import TaskContext
 
-        head, trie = shared.value
+        head, model = shared.value
         row_id = TaskContext.get().partitionId() << 36
+        run_type = pa.list_(pa.struct([("key", pa.int64()), ("n", pa.int64())]))
         tail_type = pa.list_(pa.struct([("key", pa.binary()), ("n", pa.int64())]))
         for batch in batches:
             ids, held_out, texts = (batch.column(i).to_pylist() for i in range(3))
@@ -238,7 +303,7 @@ def score(spark: SparkSession, docs: DataFrame, order: int = 5, head_words: int
                 while at + len(part) < len(texts) and (size < BLOCK // 4 or not part):
                     part.append(lowered(texts[at + len(part)]))
                     size += len(part[-1])
-                scores = trie.score(part)
+                scores, others = (model.score(part), pa.array([[]] * len(part), run_type)) if whole else model.score(part)
                 rows = []
                 for i, t in enumerate(part):
                     w = t.split()
@@ -249,13 +314,18 @@ def score(spark: SparkSession, docs: DataFrame, order: int = 5, head_words: int
                     row_id += 1
                 at += len(part)
                 types = [pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), tail_type]
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), types, strict=True)], ["row_id", "doc_id", "held_out", "n_tokens", "n_known", "head_logs", "score", "tail"])
+                yield pa.RecordBatch.from_arrays([*[pa.array(c, k) for c, k in zip(zip(*rows, strict=True), types, strict=True)], others], ["row_id", "doc_id", "held_out", "n_tokens", "n_known", "head_logs", "score", "tail", "runs"])
 
     scored = docs.select("doc_id", (id_remainder("doc_id", modulus) == held).alias("held_out"), "text").mapInArrow(run, schema)
     scored = checkpointed(spark, scored, "scored")
     tail = scored.select("row_id", F.inline("tail")).withColumnRenamed("n", "times")
     known = tail.join(words, "key").groupBy("row_id").agg(F.sum("times").alias("more"), F.sum(F.col("times") * F.log10(F.col("n") + 1.0)).alias("logs"))
-    both = scored.drop("tail").join(known, "row_id", "left")
+    both = scored.drop("tail", "runs").join(known, "row_id", "left")
+    if not whole:
+        rare = scored.select("row_id", F.inline("runs")).withColumnRenamed("n", "times")
+        logs = run_logs(spark, runs, rare.select("key").distinct(), order, n_runs)
+        both = both.join(rare.join(logs, "key").groupBy("row_id").agg(F.sum(F.col("times") * F.col("log")).alias("rest")), "row_id", "left")
+        both = both.withColumn("score", F.col("score") + F.coalesce("rest", F.lit(0.0)))
     logs = F.col("head_logs") + F.coalesce("logs", F.lit(0.0)) - F.col("n_tokens") * math.log10(n_train + kinds + 1)
     return both.select(
         "doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("more", F.lit(0))).alias("n_known"),
