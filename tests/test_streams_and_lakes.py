@@ -20,6 +20,28 @@ def test_relational_lake(spark):
     assert len(n) >= 150 and min(n.values()) >= 1 and max(n.values()) == 11
 
 
+def test_relational_lake_encodes_every_row(spark):
+    import hashlib
+    from collections import Counter
+
+    import numpy as np
+
+    sf = "/root/testdata/sf0.01"
+    e = lakes.table(spark, sf, "events").select("event_type", "value").toPandas()
+    got = {r["set_id"]: r["v"] for r in lakes.relational_lake(spark, sf).where("set_id between 7000 and 7999 and set_id % 2 = 0 and pos = 4").collect()}
+    assert len(got) == e.event_type.nunique() and e.event_type.value_counts().max() > 1000
+    for rank, (_, rows) in enumerate(sorted(e.groupby("event_type"))):
+        tokens: Counter = Counter()
+        for x in rows.value:
+            whole = str(int(abs(x)))
+            tokens.update([f"n{len(whole)}", whole[0]])
+        want = np.zeros(64)
+        for token, tf in tokens.items():
+            h = hashlib.md5(token.encode()).hexdigest()
+            want[int(h[:8], 16) % 64] += (1 if int(h[8], 16) < 8 else -1) * round((1 + np.log(tf)) * 1e6)
+        assert np.allclose(got[7000 + 2 * (rank + 1)], want / np.linalg.norm(want))
+
+
 def test_refinement_recall_rises_with_candidates(spark):
     r = [x["recall"] for x in wq._sweep(spark, SF, "phi_ref", [6, 24, 120], phi_c=32, stages=("refine",)).orderBy("phi_ref").collect()]
     assert r == sorted(r) and r[-1] > r[0]

@@ -148,7 +148,7 @@ def family_recall(spark, sf):
     """Relational lake: the share of the ten best that come from the query's base table."""
     tables = lakes.relational_tables(spark, sf).persist()
     family = tables.select("set_id", "family").distinct()
-    cols = lakes.encode(tables.select("set_id", "pos", "tokens")).persist()
+    cols = lakes.encode_tables(tables).persist()
     firsts = [r["s"] for r in family.groupBy("family").agg(F.min("set_id").alias("s")).collect()]
     top = mt.top_k_scan(lakes.vec_sets(cols), mt.collect_queries(cols.where(F.col("set_id").isin(firsts))), 0.5, 10, "lossless")[0]
     both = top.join(family, "set_id").join(family.select(F.col("set_id").alias("query_id"), F.col("family").alias("own")), "query_id")

@@ -59,15 +59,20 @@ def planted_lake(spark: SparkSession, sf_dir: str, copies: int) -> DataFrame:
 
 def encode(rows: DataFrame, dim: int = DIM) -> DataFrame:
     """(set_id, pos, v) from (set_id, pos, tokens): hashed tokens, weight 1 + ln of the count, unit length."""
-    counts = rows.select("set_id", "pos", F.explode("tokens").alias("token")).where("token != ''").groupBy("set_id", "pos", "token").agg(F.count("*").alias("tf"))
+    counts = rows.select("set_id", "pos", F.explode("tokens").alias("token")).groupBy("set_id", "pos", "token").agg(F.count("*").alias("tf"))
+    return encode_counts(rows.select("set_id", "pos"), counts, dim)
+
+
+def encode_counts(columns: DataFrame, counts: DataFrame, dim: int = DIM) -> DataFrame:
+    """encode() of the columns (set_id, pos) from the counts (set_id, pos, token, tf) of their tokens."""
     h = F.md5("token")
     bucket = (F.conv(F.substring(h, 1, 8), 16, 10).cast("bigint") % dim).cast("int")
     sign = F.when(F.conv(F.substring(h, 9, 1), 16, 10).cast("int") < 8, 1.0).otherwise(-1.0)
     # weights in whole micro-units, so that their sums do not depend on order
-    weights = counts.groupBy("set_id", "pos", bucket.alias("bucket")).agg(F.sum((sign * F.round((1 + F.log(F.col("tf").cast("double"))) * 1e6)).cast("bigint")).alias("w"))
+    weights = counts.where("token != ''").groupBy("set_id", "pos", bucket.alias("bucket")).agg(F.sum((sign * F.round((1 + F.log(F.col("tf").cast("double"))) * 1e6)).cast("bigint")).alias("w"))
     packed = weights.groupBy("set_id", "pos").agg(F.map_from_entries(F.collect_list(F.struct("bucket", "w"))).alias("at"))
     dense = F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda i: F.coalesce(F.element_at("at", i), F.lit(0)).cast("double"))
-    rest = rows.select("set_id", "pos").join(packed, ["set_id", "pos"], "left").withColumn("raw", F.coalesce(dense, F.array_repeat(F.lit(0.0), dim)))
+    rest = columns.join(packed, ["set_id", "pos"], "left").withColumn("raw", F.coalesce(dense, F.array_repeat(F.lit(0.0), dim)))
     return rest.select("set_id", "pos", normalize(F.col("raw")).alias("v"))
 
 
@@ -128,15 +133,13 @@ SLICES = {
 }
 
 
-def relational_tables(spark: SparkSession, sf_dir: str, rows_per_slice: int = 1000) -> DataFrame:
-    """(set_id, family, pos, tokens): each base table cut across by a category, and each slice with all columns and without the first and the slicing ones."""
+def relational_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(set_id, family, pos, token, tf), the count of each token of a column: each base table cut across by a category, and each slice with all columns and without the first and the slicing ones."""
     out = None
     for number, (family, (by, key, columns)) in enumerate(SLICES.items()):
         t = table(spark, sf_dir, family)
         slice_id = F.concat_ws("|", *[F.expr(b).cast("string") for b in by]) if by else F.lit("all")
         t = t.withColumn("_slice", slice_id)
-        rn = F.row_number().over(Window.partitionBy("_slice").orderBy(key, *[F.col(c).cast("string") for c in columns]))
-        t = t.withColumn("_rn", rn).where(F.col("_rn") <= rows_per_slice)
         kinds = dict(t.dtypes)
 
         def tokens(c: str, kinds: dict[str, str] = kinds) -> Column:
@@ -148,20 +151,27 @@ def relational_tables(spark: SparkSession, sf_dir: str, rows_per_slice: int = 10
             return _words(F.col(c))
 
         cells = F.array(*[F.struct(F.lit(i).alias("pos"), tokens(c).alias("tokens")) for i, c in enumerate(columns)])
-        long = t.select("_slice", F.explode(cells).alias("cell")).groupBy("_slice", "cell.pos").agg(F.flatten(F.collect_list("cell.tokens")).alias("tokens"))
+        # every row counts; a column without tokens keeps a row with a null token
+        long = t.select("_slice", F.explode(cells).alias("cell")).select("_slice", "cell.pos", F.explode_outer("cell.tokens").alias("token"))
+        long = long.groupBy("_slice", "pos", "token").agg(F.count("token").alias("tf"))
         ranks = t.select("_slice").distinct().withColumn("rank", F.row_number().over(Window.orderBy("_slice")))  # as many rows as slices
         long = long.join(F.broadcast(ranks), "_slice")
         dropped = {0} | {columns.index(b) for b in by if b in columns}
-        full = long.select((F.lit(number * 1000) + 2 * F.col("rank")).cast("bigint").alias("set_id"), F.lit(family).alias("family"), "pos", "tokens")
-        part = long.where(~F.col("pos").isin([*dropped])).select((F.lit(number * 1000) + 2 * F.col("rank") + 1).cast("bigint").alias("set_id"), F.lit(family).alias("family"), "pos", "tokens")
-        part = part.withColumn("pos", (F.row_number().over(Window.partitionBy("set_id").orderBy("pos")) - 1).cast("int"))
+        full = long.select((F.lit(number * 1000) + 2 * F.col("rank")).cast("bigint").alias("set_id"), F.lit(family).alias("family"), "pos", "token", "tf")
+        part = long.where(~F.col("pos").isin([*dropped])).select((F.lit(number * 1000) + 2 * F.col("rank") + 1).cast("bigint").alias("set_id"), F.lit(family).alias("family"), "pos", "token", "tf")
+        place = {c: i for i, c in enumerate(c for c in range(len(columns)) if c not in dropped)}
+        part = part.withColumn("pos", F.element_at(F.array(*[F.lit(place.get(c, -1)) for c in range(len(columns))]), F.col("pos") + 1))
         both = full.unionByName(part)
         out = both if out is None else out.unionByName(both)
     return out
 
 
+def encode_tables(tables: DataFrame) -> DataFrame:
+    return encode_counts(tables.select("set_id", "pos").distinct(), tables.select("set_id", "pos", "token", "tf"))
+
+
 def relational_lake(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return encode(relational_tables(spark, sf_dir).select("set_id", "pos", "tokens"))
+    return encode_tables(relational_tables(spark, sf_dir))
 
 
 def well_formed(cols: DataFrame, dim: int) -> Column:
