@@ -42,6 +42,13 @@ def test_relational_lake_encodes_every_row(spark):
         assert np.allclose(got[7000 + 2 * (rank + 1)], want / np.linalg.norm(want))
 
 
+def test_filtered_search_takes_every_twentieth_document(spark):
+    got = {r["query_id"] for r in wq.REGISTRY["filtered_search"](spark, SF).select("query_id").distinct().collect()}
+    good = lakes.table(spark, SF, "labels").where("quality = 1 and toxic = 0 and doc_id % 20 = 0").select("doc_id")
+    docs = lakes.table(spark, SF, "documents").where("trim(text) != ''")
+    assert got == {r["doc_id"] for r in docs.join(good, "doc_id", "left_semi").select("doc_id").collect()} and got
+
+
 def test_refinement_recall_rises_with_candidates(spark):
     r = [x["recall"] for x in wq._sweep(spark, SF, "phi_ref", [6, 24, 120], phi_c=32, stages=("refine",)).orderBy("phi_ref").collect()]
     assert r == sorted(r) and r[-1] > r[0]
