@@ -3,12 +3,18 @@
 from __future__ import annotations
 
 import hashlib
+import io
 import math
+import random
+import struct
 import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
+import xxhash
+import zstandard
 
 from unionlake.llm import common, fingerprint, langid, license_scan, packing, ppm, token_store, tokens, toxicity
 
@@ -62,11 +68,46 @@ def test_license_scan(spark):
     assert got[5]["n_words"] == 0 and 0 <= got[7]["score"] < 0.6
 
 
-def test_piece_encoder_equals_the_library():
-    e = tokens.PieceEncoder(tokens.tokenizer_path(), entries=50)
+def test_encoder_equals_the_library(docs, monkeypatch):
+    e = tokens.encoder(tokens.tokenizer_path())
     texts = [t for _, t, _ in ODD] + ["naïve Œuvre İstanbul I'll don't l'été", "a²b ½ x́y é", "\x1c\x85\xa0 ab​c", "ÀÉßØ×÷ a_b-c 3.14", "\x00\x01 tab\tnew\nline"]
-    for t, ids in zip(texts, e.encode(texts), strict=True):
-        assert np.frombuffer(ids, "<u4").tolist() == e.lib.encode(t or "", add_special_tokens=False).ids
+    texts += ["''s ''tis \"'s 's't 'lls 'LL 'Re x'RE5 'd'", "a" * 500, "!" * 300 + "'s", "é́ é 'É \x7f' x'\xe9", "'", " ' ", "'s"]
+    rng, letters = random.Random(1), list("aábcÉ'’.,!12 \n\tSTstrelvdm日́ß×")
+    texts += ["".join(rng.choice(letters) for _ in range(rng.randint(0, 60))) for _ in range(1500)]
+    texts += [r["text"] for r in docs.select("text").collect()]
+
+    def equal(e, texts):
+        ids, bounds = e.encode(pa.array(texts, pa.string()))
+        assert len(bounds) == len(texts) + 1
+        for i, t in enumerate(texts):
+            assert ids[bounds[i] : bounds[i + 1]].tolist() == e.lib.encode(t or "", add_special_tokens=False).ids
+
+    assert e.in_words
+    equal(e, texts)
+    monkeypatch.setattr(tokens, "CHUNK", 7)  # chunks end at blanks
+    equal(e, texts[:300])
+    other = tokens.Encoder(tokens.tokenizer_path("byte_bpe_50k.json"))  # other settings: whole texts by the library
+    assert not other.in_words
+    equal(other, texts[:50])
+    equal(e, [])
+
+
+def seek_table_of_the_public_format(raw: bytes, reader) -> None:
+    """What a reader that knows the seekable format, and nothing of ours, finds."""
+    frames, flags, magic = struct.unpack("<IBI", raw[-9:])
+    assert (flags, magic) == (0x80, 0x8F92EAB1)
+    begin = len(raw) - 9 - 12 * frames
+    assert struct.unpack("<II", raw[begin - 8 : begin]) == (0x184D2A5E, 12 * frames + 9)
+    at, whole = 0, b""
+    for i in range(frames):
+        packed, size, check = struct.unpack("<III", raw[begin + 12 * i : begin + 12 * i + 12])
+        frame = raw[at : at + packed]
+        plain = zstandard.ZstdDecompressor().decompress(frame) if size else b""
+        assert len(plain) == size and xxhash.xxh64_intdigest(plain) & 0xFFFFFFFF == check
+        at, whole = at + packed, whole + plain
+    assert at == begin - 8 and whole == b"".join(reader.frame(i).tobytes() for i in range(len(reader.doc_ids)))
+    stream = zstandard.ZstdDecompressor().stream_reader(io.BytesIO(raw), read_across_frames=True)
+    assert stream.read() == whole
 
 
 @pytest.mark.parametrize("rows", [ODD, []])
@@ -75,7 +116,7 @@ def test_token_files(spark, odd, rows, tmp_path):
     manifest = token_store.write_shards(spark, df, "file://" + str(tmp_path / "t"), shard_bytes=50_000)
     r = sorted(token_store.read_report(spark, manifest).collect(), key=lambda x: x["start"])
     assert len(r) == len(rows)
-    start, e = 0, tokens.PieceEncoder(tokens.tokenizer_path())
+    start, e = 0, tokens.encoder(tokens.tokenizer_path())
     for x, (i, t, _) in zip(r, sorted(rows, key=lambda y: (y[0] is not None, y[0] or 0)), strict=True):
         ids = [*e.lib.encode(t or "", add_special_tokens=False).ids, 2]
         assert (x["doc_id"], x["start"], x["n_tokens"], x["ids_crc32"]) == (i, start, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
@@ -88,6 +129,7 @@ def test_token_files(spark, odd, rows, tmp_path):
             one = reader.doc_ids[-1]
             assert [d for d, _ in reader.documents({one})] == [d for d in reader.doc_ids if d == one]
         raw = bytearray(open(path, "rb").read())
+        seek_table_of_the_public_format(bytes(raw), token_store.ShardReader(io.BytesIO(raw)))
         raw[6] ^= 255
         open(path, "wb").write(raw)
         with open(path, "rb") as f, pytest.raises(Exception):  # noqa: B017  a broken frame is noticed
@@ -117,8 +159,8 @@ def test_packing_covers_every_id_once(spark, odd, docs):
         for s, g in p.sort_values("offset").groupby("sequence_id"):
             assert g.length.sum() <= 2048 and (g.length.cumsum() - g.length == g.offset).all()
             total[s] = g.length.sum()
-        e = tokens.PieceEncoder(tokens.tokenizer_path())
-        assert p.length.sum() == sum(len(x) // 4 + 1 for x in e.encode(t.text.tolist()))
+        e = tokens.encoder(tokens.tokenizer_path())
+        assert p.length.sum() == len(e.encode(pa.array(t.text, pa.string()))[0]) + len(t)
         for r in p[p.doc_id.isin([1, 7])].itertuples():
             text = t[t.doc_id == r.doc_id].text.iloc[0]
             ids = np.array([*e.lib.encode(text, add_special_tokens=False).ids, 1], "<u4")

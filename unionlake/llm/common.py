@@ -2,11 +2,18 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import json
 import math
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from weakref import WeakKeyDictionary
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -18,12 +25,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_folder(spark: SparkSession, kind: str) -> str:
     """A new folder below the checkpoint folder that driver and executors share.
 
-    The cluster names it in ``spark.checkpoint.dir``. Only a session without that setting
-    (tests in one JVM) gets a temporary folder of its own.
+    The cluster names it in ``spark.checkpoint.dir``. Only a session in one JVM (tests) may do
+    without that setting and gets a temporary folder of its own.
     """
     sc = spark.sparkContext
     base = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
     if not base:
+        if sc.master != "local" and not sc.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
         base = "file://" + tempfile.mkdtemp(prefix="unionlake-")
     if not sc.getCheckpointDir():
         sc.setCheckpointDir(base)
@@ -34,7 +43,57 @@ def checkpointed(spark: SparkSession, df: DataFrame, kind: str) -> DataFrame:
     """df written once to the shared folder and read back: a cut of the lineage that survives lost executors."""
     path = shared_folder(spark, kind)
     df.write.parquet(path)
-    return spark.read.parquet(path)
+    out = spark.read.parquet(path)
+    _FOLDERS[out] = path
+    return out
+
+
+_FOLDERS: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
+
+
+def discard(spark: SparkSession, *frames: DataFrame) -> None:
+    """Removes what `checkpointed` wrote for these frames, once all that was made from them is written."""
+    for df in frames:
+        path = spark._jvm.org.apache.hadoop.fs.Path(_FOLDERS.pop(df))
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def light(run: Callable) -> Callable:
+    """`run` for mapInArrow; at a task's end its Python worker, which is kept for other tasks, gives unused memory back."""
+
+    def task(batches):
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return task
+
+
+def give_back() -> None:
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # only some C libraries have it
+    if trim:
+        trim(0)
+
+
+def portions(batch: pa.RecordBatch, column: int, size: int = 1 << 22) -> Iterator[pa.RecordBatch]:
+    """The batch in slices of about `size` bytes of one text column, a row at least; none of no rows."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    low = 0
+    while low < batch.num_rows:
+        high = max(low + 1, int(np.searchsorted(ends, (ends[low - 1] if low else 0) + size, "right")))
+        yield batch.slice(low, high - low)
+        low = high
+
+
+def unused(df: DataFrame, name: str) -> str:
+    """A column name that df does not have, in any case of letters."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name
 
 
 def id_remainder(id_col: str, modulus: int) -> Column:

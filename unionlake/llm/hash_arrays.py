@@ -15,7 +15,7 @@ class HashArray:
         spread = keys.astype(np.uint64) * SPREAD
         self.order = np.argsort(spread, kind="stable")  # of the rows as given; users let go of it once values are in this order
         spread = spread[self.order]
-        bits = max(1, int(len(keys) * 2).bit_length())
+        bits = max(1, len(keys).bit_length())
         self.shift = np.uint64(64 - bits)
         self.first = np.searchsorted(spread >> self.shift, np.arange((1 << bits) + 1, dtype=np.uint64)).astype(np.int32)
         self.longest = int(np.diff(self.first).max()) if len(keys) else 0

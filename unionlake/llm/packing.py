@@ -22,8 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unionlake.llm.common import partitions_for
-from unionlake.llm.tokens import encoder, tokenizer_path
+from unionlake.llm.common import light, partitions_for, portions
+from unionlake.llm.tokens import encoder, tokenizer_path, with_end
 
 SENTENCE, CLAUSE, INSIDE = 4, 10, 24  # penalties, in padded ids
 SCHEMA = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint"
@@ -68,7 +68,7 @@ def candidates(ids: np.ndarray, doc_ends: np.ndarray, sentence: np.ndarray, clau
     return at, far[at]
 
 
-def pack(spark: SparkSession, docs: DataFrame, size: int = 2048, end_id: int = 1, tokenizer: str | None = None, shard_bytes: int = 8 << 20, stride: int = 64, chunk: int = 1 << 19) -> DataFrame:
+def pack(spark: SparkSession, docs: DataFrame, size: int = 2048, end_id: int = 1, tokenizer: str | None = None, shard_bytes: int = 8 << 20, stride: int = 16, chunk: int = 1 << 19) -> DataFrame:
     """One row per piece. A task streams its shard and solves `chunk` ids at a time; the last window goes on into the next chunk."""
     path = tokenizer or tokenizer_path()
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text"))
@@ -86,15 +86,14 @@ def pack(spark: SparkSession, docs: DataFrame, size: int = 2048, end_id: int = 1
             for token, i in vocab.items():
                 if token.endswith("</w>") and token[:-4] and token[-5] in marks and not token[0].isalnum():
                     to[i] = True
-        end = np.array([end_id], "<u4").tobytes()
-        waiting: list[list] = []  # doc_id, the ids not packed yet, ids packed before, ids of the document
+        waiting: list[list] = []  # doc_id, the ids not packed yet, how many were packed before, ids of the document
         held = 0
 
         def windows(last: bool):
             """Packs what waits, but for the last window unless it is the last call."""
             nonlocal sequence, waiting, held
-            ids = np.frombuffer(b"".join(w[1] for w in waiting), "<u4")
-            ends = np.cumsum([len(w[1]) // 4 for w in waiting])
+            ids = np.concatenate([w[1] for w in waiting])
+            ends = np.cumsum([len(w[1]) for w in waiting])
             at, penalty = candidates(ids, ends, sentence, clause, stride)
             cuts = at[best_cuts(at.tolist(), penalty.tolist(), size)].tolist()
             if not last:
@@ -110,8 +109,8 @@ def pack(spark: SparkSession, docs: DataFrame, size: int = 2048, end_id: int = 1
                 while x < b:
                     e = int(ends[d])
                     y = min(b, e)
-                    w = waiting[d]
-                    out.append((w[0], w[2] + x - begin, y - x, zlib.crc32(w[1][(x - begin) * 4 : (y - begin) * 4]), w[3], sequence, x - a))
+                    doc_id, own, before, n = waiting[d]
+                    out.append((doc_id, before + x - begin, y - x, zlib.crc32(own[x - begin : y - begin]), n, sequence, x - a))
                     x = y
                     if x == e:
                         d, begin = d + 1, e
@@ -119,7 +118,8 @@ def pack(spark: SparkSession, docs: DataFrame, size: int = 2048, end_id: int = 1
             stop = cuts[-1]
             rest = waiting[d:]
             if rest and stop > begin:
-                rest[0] = [rest[0][0], rest[0][1][(stop - begin) * 4 :], rest[0][2] + stop - begin, rest[0][3]]
+                doc_id, own, before, n = rest[0]
+                rest[0] = [doc_id, own[stop - begin :], before + stop - begin, n]
             waiting, held = rest, len(ids) - stop
             return out
 
@@ -127,14 +127,15 @@ def pack(spark: SparkSession, docs: DataFrame, size: int = 2048, end_id: int = 1
             return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], [f.split()[0] for f in SCHEMA.split(", ")])
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                piece = batch.slice(at, 512)
-                for doc_id, ids in zip(piece.column(0).to_pylist(), enc.encode(piece.column(1).to_pylist()), strict=True):
-                    waiting.append([doc_id, ids + end, 0, len(ids) // 4 + 1])
-                    held += len(ids) // 4 + 1
+            for part in portions(batch, 1):
+                ids, bounds = with_end(*enc.encode(part.column(1)), end_id)
+                for i, doc_id in enumerate(part.column(0).to_pylist()):
+                    own = ids[bounds[i] : bounds[i + 1]]
+                    waiting.append([doc_id, own, 0, len(own)])
+                    held += len(own)
                     if held >= chunk and (out := windows(False)):
                         yield batch_of(out)
         if waiting and (out := windows(True)):
             yield batch_of(out)
 
-    return rows.mapInArrow(solve, SCHEMA)
+    return rows.mapInArrow(light(solve), SCHEMA)
