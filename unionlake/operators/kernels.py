@@ -178,38 +178,60 @@ def base_prune(candidates: Iterable[Candidate], k: int, score: Callable[[int], i
     return top.answer(), evals
 
 
-def enhanced_listing(candidates: Iterable[Candidate], k: int, score: Callable[[int], int]) -> tuple[list[tuple[int, int]], int]:
-    """The printed rule, which may lose answers: discard by the least upper bound, swap without comparing, else resolve by descending upper bound."""
-    queue, top, evals, done = DualEndedQueue(), TopK(k), 0, set()
-
-    def process(item: int) -> None:
-        nonlocal evals
-        ub = queue.bounds[item][1]
-        if item not in done and (not top.full() or ub >= top.least()):
-            done.add(item)
-            evals += 1
-            top.offer(item, score(item))
+class Listing:
+    """The printed rule on arriving candidates: discard by the least upper bound, swap without comparing, else resolve by descending upper bound."""
 
-    for item, lb, ub in candidates:
-        if len(queue) < k:
-            queue.push(item, lb, ub)
-            continue
+    def __init__(self, k: int):
+        self.k, self.queue, self.top, self.evals = k, DualEndedQueue(), TopK(k), 0
+        self.done: set[int] = set()
+        self.scores: dict[int, Callable[[], int]] = {}
+
+    def _process(self, item: int) -> None:
+        ub = self.queue.bounds[item][1]
+        if item not in self.done and (not self.top.full() or ub >= self.top.least()):
+            self.done.add(item)
+            self.evals += 1
+            self.top.offer(item, self.scores[item]())
+
+    def _push(self, item: int, lb: int, ub: int, score: Callable[[], int]) -> None:
+        self.scores[item] = score
+        self.queue.push(item, lb, ub)
+
+    def _remove(self, item: int) -> None:
+        del self.scores[item]
+        self.queue.remove(item)
+
+    def see(self, item: int, lb: int, ub: int, score: Callable[[], int]) -> None:
+        queue = self.queue
+        if len(queue) < self.k:
+            self._push(item, lb, ub, score)
+            return
         weakest = queue.min_ub()
         if ub < queue.bounds[weakest][1]:
-            continue
+            return
         if lb > queue.bounds[queue.min_lb()][0]:
-            queue.remove(weakest)
+            self._remove(weakest)
         else:
             while len(queue) and ub >= queue.bounds[queue.min_lb()][0] and lb <= queue.bounds[queue.min_ub()][1]:
                 best = queue.max_ub()
-                process(best)
-                if top.full() and ub <= top.least():
+                self._process(best)
+                if self.top.full() and ub <= self.top.least():
                     break
-                queue.remove(best)
-        queue.push(item, lb, ub)
-    for item, _ in sorted(queue.bounds.items(), key=lambda x: (-x[1][1], x[0])):
-        process(item)
-    return top.answer(), evals
+                self._remove(best)
+        self._push(item, lb, ub, score)
+
+    def finish(self) -> list[tuple[int, int]]:
+        for item, _ in sorted(self.queue.bounds.items(), key=lambda x: (-x[1][1], x[0])):
+            self._process(item)
+        return self.top.answer()
+
+
+def enhanced_listing(candidates: Iterable[Candidate], k: int, score: Callable[[int], int]) -> tuple[list[tuple[int, int]], int]:
+    """The printed rule, which may lose answers."""
+    rule = Listing(k)
+    for item, lb, ub in candidates:
+        rule.see(item, lb, ub, lambda item=item: score(item))
+    return rule.finish(), rule.evals
 
 
 def enhanced_lossless(candidates: Iterable[Candidate], k: int, score: Callable[[int], int]) -> tuple[list[tuple[int, int]], int]:
@@ -239,6 +261,72 @@ def prune(kind: str, candidates: list[Candidate], k: int, score: Callable[[int],
     return PRUNES[kind](candidates, k, score)
 
 
+class Problem:
+    """The assignment of a query's columns to targets with capacities; by_rows: which greedy rule bounds it from below."""
+
+    def __init__(self, sims: np.ndarray, caps: np.ndarray, tau: int, card: bool, by_rows: bool):
+        self.sims, self.caps, self.tau, self.card, self.by_rows = sims, caps, tau, card, by_rows
+
+    def upper(self) -> int:
+        return upper_bound(self.sims, int(self.caps.sum()))
+
+    def lower(self) -> int:
+        greedy = greedy_rows(self.sims, self.caps) if self.by_rows else greedy_edges(self.sims)
+        return lower_bound(greedy, self.sims, self.caps, self.tau, self.card)
+
+    def score(self) -> int:
+        return assign(self.sims, self.caps, self.card)[1]
+
+
+class Keeper:
+    """What one task keeps of one query's problems: the k best, as the rule none, base or listing finds them."""
+
+    def __init__(self, rule: str, k: int):
+        self.rule, self.seen, self.bounded, self.evals = rule, 0, 0, 0
+        self.top, self.listing = TopK(k), Listing(k) if rule == "listing" else None
+
+    def see(self, item: int, p: Problem) -> None:
+        self.seen += 1
+        if self.rule != "none":
+            self.bounded += 1
+            ub = p.upper()
+            if self.listing is not None:
+                self.listing.see(item, p.lower(), ub, p.score)
+                return
+            if self.top.full() and ub < self.top.least():
+                return
+        self.evals += 1
+        self.top.offer(item, p.score())
+
+    def finish(self) -> list[tuple[int, int]]:
+        if self.listing is None:
+            return self.top.answer()
+        answer, self.evals = self.listing.finish(), self.listing.evals
+        return answer
+
+
+class Survivors:
+    """Problems of one query whose upper bound reaches the k-th best lower bound that the task has seen."""
+
+    def __init__(self, k: int):
+        self.seen, self.lows, self.held = 0, TopK(k), []
+
+    def see(self, item: int, p: Problem) -> None:
+        self.seen += 1
+        ub = p.upper()
+        if self.lows.full() and ub < self.lows.least():
+            return
+        lb = p.lower()
+        self.lows.offer(item, lb)
+        self.held.append((item, lb, ub, p))
+
+    def take(self) -> list[tuple[int, int, int, Problem]]:
+        """What is held and still survives; it is held no longer."""
+        least = self.lows.least() if self.lows.full() else 0
+        out, self.held = [h for h in self.held if h[2] >= least], []
+        return out
+
+
 def nearest(v: np.ndarray, c: np.ndarray) -> np.ndarray:
     """The nearest centroid of each vector in the Euclidean sense; of equals the first. Distances in whole 1e-9 units."""
     d = (c * c).sum(1)[None, :] - 2 * (v @ c.T)

@@ -11,11 +11,12 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from unionlake.functions.vectors import MICRO, micro, sim6
 from unionlake.operators import kernels as K
+from unionlake.sources.shared import written
 
 #: Most query vector components that may be broadcast; more queries go in blocks (`query_blocks`).
 MOST_QUERY_VALUES = 64 << 20
@@ -159,75 +160,130 @@ def top_k_exact(sets: DataFrame, queries: Queries, tau: float, k: int, semantics
     return ranked(unionability(sets, queries, tau, semantics, include_self), k)
 
 
-def top_k_scan(sets: DataFrame, queries: Queries, tau: float, k: int, prune: str, semantics: str = "max_cardinality") -> tuple[DataFrame, DataFrame]:
-    """(answer, counters) of a scan of all sets with pruning.
+KEPT = "query_id bigint, set_id bigint, score6 bigint, candidates bigint, bounds bigint, evaluations bigint"
+PROBLEMS = "query_id bigint, set_id bigint, lb6 bigint, ub6 bigint, columns int, sims array<bigint>, caps array<bigint>, candidates bigint"
+#: (query_id, set_id, problem) of the pairs in a batch of rows.
+Pairs = Callable[[pa.RecordBatch], Iterator[tuple[int, int, K.Problem]]]
+
+
+def _batches(rows: list[tuple], schema: str, size: int = 20_000) -> Iterator[pa.RecordBatch]:
+    fields = [f.strip().split() for f in schema.split(",")]
+    kinds = {"bigint": pa.int64(), "int": pa.int32(), "array<bigint>": pa.list_(pa.int64())}
+    for at in range(0, len(rows), size):
+        part = rows[at : at + size]
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in part], kinds[k]) for i, (_, k) in enumerate(fields)], [n for n, _ in fields])
+
+
+def best_of(rows: DataFrame, pairs: Pairs, k: int, prune: str, tau: int, card: bool, by_rows: bool = False) -> tuple[DataFrame, DataFrame]:
+    """(answer, work) of a scan: (query_id, rank, set_id, score6) and (query_id, candidates, bounds, evaluations).
 
-    base: each task keeps a heap per query and skips sets whose upper bound cannot enter it.
-    lossless: a first scan gives bounds; the k-th best lower bound of each query is broadcast;
-    only sets whose upper bound reaches it are scored.
+    none, base, listing: a task keeps the k best of each query by its rule and gives only those.
+    lossless: a task gives the problems whose upper bound reaches the k-th best lower bound it saw;
+    of these the ones that reach the k-th best of all tasks are scored, best bounds first. Either
+    way the scan runs once and small rows go on; what it found is written, and both results read it.
     """
-    card, threshold, spark = _card(semantics), micro(tau), sets.sparkSession
-    if prune == "none":
-        scored = unionability(sets, queries, tau, semantics)
-        return ranked(scored, k), scored.groupBy("query_id").agg(F.count("*").alias("evaluations"))
-    if prune == "base":
-
-        def kernel():
-            tops: dict[int, K.TopK] = {}
-
-            def rows(q, s, m):
-                top = tops.setdefault(q, K.TopK(k))
-                if top.full() and K.upper_bound(m, m.shape[1]) < top.least():
-                    return [(-1,)]
-                u = K.assign(m, _ones(m.shape[1]), card)[1]
-                top.offer(s, u)
-                return [(u,)]
-
-            return rows
-
-        scored = scan(sets, queries, tau, _PerTask(kernel), "u6 bigint")
-        return ranked(scored.where("u6 >= 0"), k), scored.groupBy("query_id").agg(F.count_if(F.col("u6") >= 0).alias("evaluations"))
+    if prune not in ("none", "base", "listing", "lossless"):
+        raise ValueError(f"unknown pruning {prune!r}")
     if prune != "lossless":
-        raise ValueError(f"no scan with pruning {prune!r}")
-    bounds = bounds_union(sets, queries, tau, semantics)
-    order = Window.partitionBy("query_id").orderBy(F.col("lb6").desc())
-    theta = bounds.withColumn("rn", F.row_number().over(order)).where(F.col("rn") <= k).groupBy("query_id").agg(F.min("lb6").alias("theta"), F.count("*").alias("n"))
-    limits = {r["query_id"]: r["theta"] for r in theta.collect() if r["n"] >= k}  # a row per query
-    shared = spark.sparkContext.broadcast(limits)
 
-    def late():
-        tops: dict[int, K.TopK] = {}
+        def keep(batches):
+            keepers: dict[int, K.Keeper] = {}
+            for batch in batches:
+                for q, s, p in pairs(batch):
+                    keepers.setdefault(q, K.Keeper(prune, k)).see(s, p)
+            out: list[tuple] = []
+            for q, keeper in keepers.items():
+                out += [(q, s, u, 0, 0, 0) for s, u in keeper.finish()]
+                out.append((q, None, None, keeper.seen, keeper.bounded, keeper.evals))
+            yield from _batches(out, KEPT)
+
+        kept = written(rows.mapInArrow(keep, KEPT), "kept")
+        return _answer_and_work(kept, k)
+
+    def survive(batches, most: int = 2_000):
+        every: dict[int, K.Survivors] = {}
+
+        def rows_of(q: int, held: list) -> list[tuple]:
+            return [(q, s, lb, ub, p.sims.shape[1], p.sims.ravel().tolist(), p.caps.tolist(), 0) for s, lb, ub, p in held]
 
-        def rows(q, s, m):
-            top, ub = tops.setdefault(q, K.TopK(k)), K.upper_bound(m, m.shape[1])
-            if ub < shared.value.get(q, -1) or top.full() and ub < top.least():
-                return [(-1,)]
-            u = K.assign(m, _ones(m.shape[1]), card)[1]
-            top.offer(s, u)
-            return [(u,)]
+        for batch in batches:
+            for q, s, p in pairs(batch):
+                own = every.setdefault(q, K.Survivors(k))
+                own.see(s, p)
+                if len(own.held) >= most:
+                    yield from _batches(rows_of(q, own.take()), PROBLEMS)
+        for q, own in every.items():
+            yield from _batches([*rows_of(q, own.take()), (q, None, None, None, None, None, None, own.seen)], PROBLEMS)
+
+    found = written(rows.mapInArrow(survive, PROBLEMS), "survivors")
+    real = found.where("set_id is not null")
+    order = Window.partitionBy("query_id").orderBy(F.col("lb6").desc())
+    least = real.select("query_id", "lb6").withColumn("rn", F.row_number().over(order)).where(F.col("rn") <= k)
+    least = least.groupBy("query_id").agg(F.when(F.count("*") >= k, F.min("lb6")).otherwise(0).alias("theta"))  # a row per query
+    left = real.join(F.broadcast(least), "query_id").where("ub6 >= theta").drop("theta", "candidates")
+    # the problems of a query go to one task, best bound first, a row at a time; many problems to several
+    n, queries = left.select(F.count("*"), F.count_distinct("query_id")).first()
+    salt = F.pmod(F.xxhash64("set_id"), F.lit(max(1, n // (50_000 * max(1, queries)))))
+    left = left.repartition("query_id", salt).sortWithinPartitions(F.col("query_id"), F.col("ub6").desc(), "set_id")
+
+    def solve(batches):
+        tops: dict[int, tuple[K.TopK, list[int]]] = {}
+        for batch in batches:
+            for q, s, ub, p, sims, caps in zip(*(batch.column(c).to_pylist() for c in ("query_id", "set_id", "ub6", "columns", "sims", "caps")), strict=True):
+                top, evals = tops.setdefault(q, (K.TopK(k), [0]))
+                if not top.full() or ub >= top.least():
+                    evals[0] += 1
+                    top.offer(s, K.Problem(np.array(sims, np.int64).reshape(-1, p), np.array(caps, np.int64), tau, card, by_rows).score())
+        out: list[tuple] = []
+        for q, (top, evals) in tops.items():
+            out += [(q, s, u, 0, 0, 0) for s, u in top.answer()]
+            out.append((q, None, None, 0, 0, evals[0]))
+        yield from _batches(out, KEPT)
 
-        return rows
+    seen = found.where("set_id is null").select("query_id", F.lit(None).cast("bigint").alias("set_id"), F.lit(None).cast("bigint").alias("score6"), "candidates", F.col("candidates").alias("bounds"), F.lit(0).cast("bigint").alias("evaluations"))
+    return _answer_and_work(written(left.mapInArrow(solve, KEPT), "kept").unionByName(seen), k)
 
-    scored = scan(sets, queries, tau, _PerTask(late), "u6 bigint")
-    return ranked(scored.where("u6 >= 0"), k), scored.groupBy("query_id").agg(F.count_if(F.col("u6") >= 0).alias("evaluations"))
 
+def _answer_and_work(kept: DataFrame, k: int) -> tuple[DataFrame, DataFrame]:
+    work = kept.where("set_id is null").groupBy("query_id").agg(*[F.sum(c).alias(c) for c in ("candidates", "bounds", "evaluations")])
+    return ranked(kept.where("set_id is not null"), k, "score6"), work
 
-class _PerTask:
-    """A kernel whose state begins anew in each task: it is made on the first call after unpickling."""
 
-    def __init__(self, make: Callable[[], Callable]):
-        self.make, self.own = make, None
+def exact_pairs(queries: Queries, dim: int, tau: float, card: bool, spark: SparkSession, wanted: bool = False) -> Pairs:
+    """The problems of one-to-one matching, for rows (set_id, n, flat), or (set_id, n, flat, ids) if only the queries `ids` meet a set."""
+    ids = sorted(queries)
+    stacked = np.concatenate([queries[i] for i in ids]) if ids else np.zeros((0, dim))
+    cuts = np.cumsum([0, *[len(queries[i]) for i in ids]])
+    shared, threshold = spark.sparkContext.broadcast((ids, stacked, cuts)), micro(tau)
 
-    def __getstate__(self):
-        return {"make": self.make, "own": None}
+    def pairs(batch):
+        ids, stacked, cuts = shared.value
+        at = {q: i for i, q in enumerate(ids)}
+        flat = batch.column(2).flatten().to_numpy(zero_copy_only=False).reshape(-1, dim)
+        ends = np.cumsum(batch.column(1).to_numpy(zero_copy_only=False))
+        meets = batch.column(3).to_pylist() if wanted else None
+        for i, s in enumerate(batch.column(0).to_pylist()):
+            v = flat[ends[i - 1] if i else 0 : ends[i]]
+            own = ids if meets is None else sorted(meets[i])
+            rows = stacked if meets is None else stacked[np.concatenate([np.arange(cuts[at[q]], cuts[at[q] + 1]) for q in own])]
+            sims = np.rint(rows @ v.T * MICRO).astype(np.int64)
+            sims[sims < threshold] = K.NO_EDGE
+            caps, low = np.ones(len(v), np.int64), 0
+            for q in own:
+                high = low + cuts[at[q] + 1] - cuts[at[q]]
+                if q != s:
+                    yield q, s, K.Problem(sims[low:high], caps, threshold, card, False)
+                low = high
+
+    return pairs
 
-    def __call__(self, *args):
-        from pyspark import TaskContext
 
-        task = TaskContext.get().taskAttemptId()
-        if self.own is None or self.own[0] != task:
-            self.own = (task, self.make())
-        return self.own[1](*args)
+def top_k_scan(sets: DataFrame, queries: Queries, tau: float, k: int, prune: str, semantics: str = "max_cardinality") -> tuple[DataFrame, DataFrame]:
+    """(answer, work) of a scan of all sets with pruning none, base, listing or lossless; the scan has run when this returns."""
+    card = _card(semantics)
+    dim = next(iter(queries.values())).shape[1] if queries else 1
+    pairs = exact_pairs(queries, dim, tau, card, sets.sparkSession)
+    return best_of(sets.select("set_id", "n", "flat"), pairs, k, prune, micro(tau), card)
 
 
 def set_distance(sets: DataFrame, queries: Queries, kind: str) -> DataFrame:
@@ -247,8 +303,9 @@ def mean_pool(cols: DataFrame, dim: int) -> DataFrame:
     return at.groupBy("set_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("v"))
 
 
-def mean_pool_top_k(cols: DataFrame, query_ids: list[int], dim: int, k: int) -> DataFrame:
+def mean_pool_top_k(cols: DataFrame, queries: str, dim: int, k: int) -> DataFrame:
+    """queries: the predicate of the sets that are queries."""
     pooled = mean_pool(cols, dim)
-    q = pooled.where(F.col("set_id").isin(query_ids)).select(F.col("set_id").alias("query_id"), F.col("v").alias("vq"))
+    q = pooled.where(queries).select(F.col("set_id").alias("query_id"), F.col("v").alias("vq"))
     pairs = pooled.join(F.broadcast(q), F.col("set_id") != F.col("query_id")).select("query_id", "set_id", sim6(F.col("vq"), F.col("v")).alias("u6"))
     return ranked(pairs, k)

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from unionlake.functions.vectors import MICRO, micro, sim6
 from unionlake.operators import kernels as K
 from unionlake.operators.index import Index
-from unionlake.operators.matching import Queries
+from unionlake.operators.matching import Queries, best_of, exact_pairs
 
 
 @dataclass(frozen=True)
@@ -167,11 +167,11 @@ class Candidate:
         return np.where(s >= self.tau, s, K.NO_EDGE)
 
 
-RESULT = "query_id bigint, stage string, rank int, set_id bigint, score6 bigint, candidates int, bounds int, evaluations int"
+RESULT = "query_id bigint, stage string, rank int, set_id bigint, score6 bigint, candidates bigint, bounds bigint, evaluations bigint"
 
 
 def _stages(index: Index, queries: Queries, plan: Plan):
-    """A function of one query's candidate rows that gives RESULT rows; a few hundred sets, so one task holds them."""
+    """A function of one query's candidate rows that gives RESULT rows. The plan's phi_ref or phi_r bounds the sets, so one task holds them."""
     spark = index.sets.sparkSession
     to_centroids = {i: np.rint(q @ index.centroids.T * MICRO).astype(np.int64) for i, q in queries.items()}
     shared = spark.sparkContext.broadcast((queries, to_centroids))
@@ -213,13 +213,53 @@ def candidates(index: Index, queries: Queries, plan: Plan) -> DataFrame:
     return refine(probe, index.counts, plan.phi_ref, plan.on_full, micro(plan.tau) if plan.tau_in_refine else None).select("query_id", "set_id")
 
 
+def _with_work(answer: DataFrame, work: DataFrame, stage: str) -> DataFrame:
+    """RESULT rows; work has a row per query."""
+    names = [f.split()[0] for f in RESULT.split(", ")]
+    return answer.join(F.broadcast(work), "query_id").withColumn("stage", F.lit(stage)).select(*names)
+
+
+def _meeting(index: Index, ids: DataFrame) -> DataFrame:
+    """The sets that a query is to meet, with the ids of those queries; vectors stay in the set layout."""
+    wanted = ids.select("query_id", "set_id").where("query_id != set_id").groupBy("set_id").agg(F.collect_set("query_id").alias("ids"))
+    return index.sets.join(wanted, "set_id")
+
+
+def filter_scan(index: Index, queries: Queries, ids: DataFrame, plan: Plan) -> DataFrame:
+    """RESULT rows of the filter over any number of candidates (query_id, set_id): the phi_r best by many-to-one matching."""
+    spark, dim, tau, card = index.sets.sparkSession, index.dim, micro(plan.tau), plan.semantics == "max_cardinality"
+    to_centroids = {i: np.rint(q @ index.centroids.T * MICRO).astype(np.int64) for i, q in queries.items()}
+    shared = spark.sparkContext.broadcast((queries, to_centroids))
+
+    def pairs(batch):
+        import pandas as pd
+
+        rows = pd.DataFrame({c: batch.column(c).to_pylist() for c in ("set_id", "flat", "part", "groups", "own", "ids")})
+        for r in rows.itertuples():
+            for q in sorted(r.ids):
+                c = Candidate(shared.value[0][q], shared.value[1][q], r, dim, tau, card)
+                yield q, c.set_id, K.Problem(c.sims, c.caps, tau, card, True)
+
+    rows = _meeting(index, ids).select("set_id", "flat", "part", "groups", "own", "ids")
+    return _with_work(*best_of(rows, pairs, plan.phi_r, plan.prune, tau, card, True), "filter")
+
+
 def staged(index: Index, queries: Queries, plan: Plan) -> DataFrame:
     """RESULT rows of each query: what the filter kept and the final answer, with work counts.
 
     Refined ids are few (phi_ref per query) and go to the sets as a broadcast where the optimizer
-    finds them small; raw vectors of no other set are shuffled.
+    finds them small; raw vectors of no other set are shuffled. Without refinement the candidates
+    grow with the lake, so the first stage after it scans the sets where they lie.
     """
-    picked = candidates(index, queries, plan).join(index.sets, "set_id")
+    ids = candidates(index, queries, plan)
+    if "refine" not in plan.stages:
+        if "filter" not in plan.stages:
+            return score_candidates(index, queries, ids, plan)
+        kept = filter_scan(index, queries, ids, plan)
+        rest = replace(plan, stages=("refine", *[s for s in plan.stages if s == "score"]))
+        picked = kept.select("query_id", "set_id").join(index.sets, "set_id")
+        return kept.unionByName(picked.groupBy("query_id").applyInPandas(_stages(index, queries, rest), RESULT))
+    picked = ids.join(index.sets, "set_id")
     return picked.groupBy("query_id").applyInPandas(_stages(index, queries, plan), RESULT)
 
 
@@ -264,10 +304,11 @@ def flat_column_candidates(cols: DataFrame, queries: Queries, k_prime: int) -> D
 
 
 def score_candidates(index: Index, queries: Queries, ids: DataFrame, plan: Plan) -> DataFrame:
-    """Exact unionability of the candidate sets (query_id, set_id), pruned as the plan says: what both baselines share."""
-    chosen = ids.select("query_id", "set_id").where("query_id != set_id").distinct().join(index.sets, "set_id")
-    exact = replace(plan, stages=("refine",))
-    return chosen.groupBy("query_id").applyInPandas(_stages(index, queries, exact), RESULT)
+    """RESULT rows: exact unionability of any number of candidates (query_id, set_id), pruned as the plan says, in the set layout: what both baselines share."""
+    card = plan.semantics == "max_cardinality"
+    pairs = exact_pairs(queries, index.dim, plan.tau, card, index.sets.sparkSession, wanted=True)
+    rows = _meeting(index, ids).select("set_id", "n", "flat", "ids")
+    return _with_work(*best_of(rows, pairs, plan.k, plan.prune, micro(plan.tau), card), "answer")
 
 
 def quantized(index: Index, queries: Queries, plan: Plan) -> DataFrame:

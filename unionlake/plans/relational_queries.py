@@ -2,8 +2,7 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
+from functools import reduce
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -13,6 +12,7 @@ from unionlake.operators import index as ix
 from unionlake.operators import matching as mt
 from unionlake.plans import search_queries as sq
 from unionlake.sources import lakes
+from unionlake.sources.shared import folder
 
 REGISTRY: dict = {}
 SQL: dict[str, str] = {}
@@ -55,9 +55,7 @@ def scan_catalog(spark, sf):
 
 def _through(spark, df: DataFrame, fmt: str, schema: str, **options) -> DataFrame:
     """df written to the shared folder in a format and read back with its schema; bad rows are kept as nulls."""
-    sc = spark.sparkContext
-    base = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir() or "file://" + tempfile.mkdtemp()
-    path = f"{base.rstrip('/')}/{fmt}-{uuid.uuid4().hex[:10]}"
+    path = folder(spark, fmt)
     df.write.options(**options).format(fmt).save(path)
     return spark.read.schema(schema).options(**options).option("mode", "PERMISSIVE").format(fmt).load(path)
 
@@ -88,33 +86,38 @@ def sql_dot(spark, sf):
 
 @query("sql_union_search", sq.EXACT_CARD)
 def sql_union_search(spark, sf):
-    """Union search from SQL: a table function over packed edges gives each pair's score, SQL ranks it."""
+    """Union search from SQL: a table function takes the packed edges as a table argument, cut by query, with k and the threshold as parameters."""
     from pyspark.sql.functions import udtf
 
     from unionlake.operators import kernels as K
 
-    @udtf(returnType="query_id bigint, set_id bigint, t int, u6 bigint")
-    class UnionScore:
-        def eval(self, query_id: int, set_id: int, q: list, j: list, sim6: list):
+    @udtf(returnType="query_id bigint, rank int, set_id bigint, score6 bigint")
+    class UnionSearch:
+        def __init__(self):
+            self.query_id, self.top = None, None
+
+        def eval(self, row, k: int, tau: float):
             import numpy as np
 
-            m = np.full((max(q, default=-1) + 1, max(j, default=-1) + 1), K.NO_EDGE)
-            for a, b, s in zip(q, j, sim6, strict=True):
-                m[a, b] = s
-            n, u, _ = K.assign(m, np.ones(m.shape[1], np.int64), True)
-            yield query_id, set_id, n, u
+            if self.top is None:
+                self.query_id, self.top = row["query_id"], K.TopK(k)
+            e = [x for x in row["e"] if x["sim6"] >= round(tau * 1e6)]
+            m = np.full((max((x["q"] for x in e), default=-1) + 1, max((x["j"] for x in e), default=-1) + 1), K.NO_EDGE)
+            for x in e:
+                m[x["q"], x["j"]] = x["sim6"]
+            self.top.offer(row["set_id"], K.assign(m, np.ones(m.shape[1], np.int64), True)[1])
+
+        def terminate(self):
+            if self.top is not None:
+                for rank, (set_id, score) in enumerate(self.top.answer(), 1):
+                    yield self.query_id, rank, set_id, score
 
-    spark.udtf.register("union_score", UnionScore)
+    spark.udtf.register("union_search", UnionSearch)
     e = sq.edges_tau(spark, sf).groupBy("query_id", "set_id").agg(F.collect_list(F.struct("q", "j", "sim6")).alias("e"))
-    ids = spark.createDataFrame([(i,) for i in sq.QUERY_IDS], "query_id bigint")
-    pairs = sq.sets_of(spark, sf).select("set_id").join(F.broadcast(ids), F.col("set_id") != F.col("query_id"))
+    pairs = sq.sets_of(spark, sf).select("set_id").join(F.broadcast(sq.query_ids(spark, sf)), F.col("set_id") != F.col("query_id"))
     empty = F.array().cast("array<struct<q:int,j:int,sim6:bigint>>")
     pairs.join(e, ["query_id", "set_id"], "left").select("query_id", "set_id", F.coalesce("e", empty).alias("e")).createOrReplaceTempView("packed_edges")
-    return spark.sql(f"""
-        SELECT query_id, rank, set_id, u6 AS score6 FROM (
-          SELECT u.*, row_number() OVER (PARTITION BY u.query_id ORDER BY u.u6 DESC, u.set_id) AS rank
-          FROM packed_edges p, LATERAL union_score(p.query_id, p.set_id, transform(p.e, x -> x.q), transform(p.e, x -> x.j), transform(p.e, x -> x.sim6)) u)
-        WHERE rank <= {sq.TOP}""")
+    return spark.sql("SELECT * FROM union_search(TABLE(packed_edges) PARTITION BY (query_id), :k, :tau)", args={"k": sq.TOP, "tau": sq.TAU})
 
 
 # ---- filters ----------------------------------------------------------------------------------
@@ -171,7 +174,7 @@ query("answers_except", W(*TWO) + " SELECT query_id, set_id FROM ex EXCEPT SELEC
 def recall(truth: DataFrame, answer: DataFrame) -> DataFrame:
     """(query_id, recall): the share of the true sets that were returned."""
     hit = answer.select("query_id", "set_id", F.lit(1).alias("hit"))
-    return truth.join(hit, ["query_id", "set_id"], "left").groupBy("query_id").agg((F.count("hit") / F.count("*")).alias("recall"))
+    return truth.join(hit.hint("SHUFFLE_HASH"), ["query_id", "set_id"], "left").groupBy("query_id").agg((F.count("hit") / F.count("*")).alias("recall"))
 
 
 query("recall_quantized", W(*TWO) + " SELECT query_id, count(qz.set_id) / count(*) AS recall FROM ex LEFT JOIN qz USING (query_id, set_id) GROUP BY 1")(lambda s, d: recall(*_two(s, d)))
@@ -184,12 +187,13 @@ def recall_tie(spark, sf):
     return qz.join(F.broadcast(ex.groupBy("query_id").agg(F.min("score6").alias("least"))), "query_id").groupBy("query_id").agg((F.count_if(F.col("score6") >= F.col("least")) / sq.TOP).alias("recall"))
 
 
-@query("all_pairs_union", W(sq.VC, "small AS (SELECT * FROM vc WHERE set_id < 20)", f"ed AS (SELECT a.set_id AS query_id, b.set_id, a.pos AS q, b.pos AS j, CAST(round(list_inner_product(a.v, b.v) * 1000000) AS BIGINT) AS sim6 FROM small a JOIN small b ON a.set_id < b.set_id WHERE CAST(round(list_inner_product(a.v, b.v) * 1000000) AS BIGINT) >= {vf.micro(0.25)})", sq.dp("ed", True)) + " SELECT * FROM best")
+@query("all_pairs_union", W(sq.VC, f"ed AS (SELECT a.set_id AS query_id, b.set_id, a.pos AS q, b.pos AS j, CAST(round(list_inner_product(a.v, b.v) * 1000000) AS BIGINT) AS sim6 FROM vc a JOIN vc b ON a.set_id < b.set_id WHERE CAST(round(list_inner_product(a.v, b.v) * 1000000) AS BIGINT) >= {vf.micro(0.25)})", sq.dp("ed", True)) + " SELECT * FROM best")
 def all_pairs_union(spark, sf):
-    """All pairs of the small block of sets with an edge at .25 or more."""
-    c = sq.cols_of(spark, sf).where("set_id < 20")
-    got = mt.unionability(lakes.vec_sets(c), mt.collect_queries(c), 0.25)
-    return got.where("query_id < set_id and t > 0")
+    """All pairs of sets with an edge at .25 or more, a block of sets as queries at a time."""
+    c = sq.cols_of(spark, sf)
+    sets = lakes.vec_sets(c)
+    blocks = [mt.unionability(sets, queries, 0.25) for queries in mt.query_blocks(c)]
+    return reduce(DataFrame.unionByName, blocks).where("query_id < set_id and t > 0")
 
 
 VERSIONS = [("2024-01-01", 1), ("2024-01-09", 2), ("2024-01-20", 3)]

@@ -20,7 +20,8 @@ from unionlake.operators import search as se
 from unionlake.sources import lakes
 
 TAU, TOP, N_C = 0.1, 10, 32
-QUERY_IDS = [0, 1, 2, 3, 4]
+#: Every set whose id divides by 20 is a query.
+QUERIES = "set_id % 20 = 0"
 PLAN = se.Plan(k=5, tau=TAU, phi_c=4, phi_ref=20, phi_r=10)
 
 
@@ -35,8 +36,17 @@ def sets_of(spark: SparkSession, sf: str) -> DataFrame:
     return lakes.vec_sets(cols_of(spark, sf))
 
 
-def queries_of(spark: SparkSession, sf: str, ids: list[int] = QUERY_IDS) -> mt.Queries:
-    return mt.collect_queries(cols_of(spark, sf).where(F.col("set_id").isin(ids)))
+def query_cols(spark: SparkSession, sf: str) -> DataFrame:
+    return cols_of(spark, sf).where(QUERIES)
+
+
+def queries_of(spark: SparkSession, sf: str) -> mt.Queries:
+    return mt.collect_queries(query_cols(spark, sf))
+
+
+def query_ids(spark: SparkSession, sf: str) -> DataFrame:
+    """(query_id), as many rows as queries."""
+    return sets_of(spark, sf).where(QUERIES).select(F.col("set_id").alias("query_id"))
 
 
 def seeds(spark: SparkSession, sf: str) -> np.ndarray:
@@ -54,11 +64,11 @@ def build_on(cols: DataFrame, c: np.ndarray, adapt: bool, rho_low: float, rho_hi
     return ix.build(cols, dim, rho_low=rho_low, rho_high=rho_high, adapt=adapt, centroids=c)
 
 
-VC = """vc AS (SELECT 5*(vec_id//30) + CASE WHEN vec_id%30<2 THEN 0 WHEN vec_id%30<6 THEN 1 WHEN vec_id%30<12 THEN 2 WHEN vec_id%30<20 THEN 3 ELSE 4 END AS set_id,
+VC = """vc AS (SELECT 5*(vec_id//30) + (CASE WHEN vec_id%30<2 THEN 0 WHEN vec_id%30<6 THEN 1 WHEN vec_id%30<12 THEN 2 WHEN vec_id%30<20 THEN 3 ELSE 4 END + vec_id//120) % 5 AS set_id,
  CAST(vec_id%30 - CASE WHEN vec_id%30<2 THEN 0 WHEN vec_id%30<6 THEN 2 WHEN vec_id%30<12 THEN 6 WHEN vec_id%30<20 THEN 12 ELSE 20 END AS INTEGER) AS pos,
  vec_id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings)"""
 MS = "ms AS (SELECT set_id, CAST(count(*) AS INTEGER) AS n FROM vc GROUP BY 1)"
-QS = "qs AS (SELECT set_id AS query_id, pos AS q, v AS vq FROM vc WHERE set_id IN (0,1,2,3,4))"
+QS = "qs AS (SELECT set_id AS query_id, pos AS q, v AS vq FROM vc WHERE set_id % 20 = 0)"
 NQ = "nq AS (SELECT query_id, count(*) AS nq FROM qs GROUP BY 1)"
 PR = "pr AS (SELECT query_id, nq, set_id, n FROM nq JOIN ms ON query_id <> set_id)"
 SIM = "CAST(round(list_inner_product(vq, v) * 1000000) AS BIGINT)"
@@ -134,7 +144,7 @@ def repo_sets(spark, sf):
 @query("edges_tau", with_(VC, QS, ED) + " SELECT * FROM ed")
 def edges_tau(spark, sf):
     c = cols_of(spark, sf)
-    return mt.edges(c.where(F.col("set_id").isin(QUERY_IDS)), c, TAU)
+    return mt.edges(c.where(QUERIES), c, TAU)
 
 
 @query("match_valid", with_(VC, QS, ED, "mx AS (SELECT * FROM ed QUALIFY row_number() OVER (PARTITION BY query_id, set_id, q ORDER BY sim6 DESC, j) = 1)") + """
@@ -183,6 +193,14 @@ def best_matching(spark, sf):
     return mt.best_matching(sets_of(spark, sf), queries_of(spark, sf), TAU)
 
 
+@query("best_matching_check", with_(VC, QS, ED, dp("ed", True)) + " SELECT query_id, set_id, CAST(t AS BIGINT) AS t, u6, TRUE AS valid FROM best WHERE t > 0")
+def best_matching_check(spark, sf):
+    """Pairs, total and validity of the matchings that best_matching gives."""
+    m = best_matching(spark, sf)
+    total = m.groupBy("query_id", "set_id").agg(F.sum("sim6").alias("u6"))
+    return mt.is_matching(m, edges_tau(spark, sf)).join(total, ["query_id", "set_id"]).select("query_id", "set_id", "t", "u6", "valid")
+
+
 def _topk(semantics):
     return lambda spark, sf: mt.top_k_exact(sets_of(spark, sf), queries_of(spark, sf), TAU, TOP, semantics)
 
@@ -358,7 +376,7 @@ def _probe_counts(spark, sf):
 
 query("touched_sets", with_(*R) + " SELECT DISTINCT query_id, set_id FROM po")(lambda s, d: se.touched(*_probe_counts(s, d)))
 query("missed_by_probe", with_(VC, MS, QS, NQ, PR, CE, AS, IW, QC, PB, PO) + " SELECT query_id, set_id FROM pr EXCEPT SELECT query_id, set_id FROM po")(
-    lambda s, d: sets_of(s, d).select("set_id").join(F.broadcast(s.createDataFrame([(q,) for q in QUERY_IDS], "query_id bigint")), F.col("set_id") != F.col("query_id")).join(se.touched(*_probe_counts(s, d)), ["query_id", "set_id"], "left_anti").select("query_id", "set_id")
+    lambda s, d: sets_of(s, d).select("set_id").join(F.broadcast(query_ids(s, d)), F.col("set_id") != F.col("query_id")).join(se.touched(*_probe_counts(s, d)), ["query_id", "set_id"], "left_anti").select("query_id", "set_id")
 )
 query("refine_block", with_(*R, refine_cte()) + " SELECT * FROM rf")(lambda s, d: se.refine(*_probe_counts(s, d), PLAN.phi_ref))
 query("refine_tau", with_(*R, refine_cte(f"sim6 >= {micro(0.2)}")) + " SELECT * FROM rf")(lambda s, d: se.refine(*_probe_counts(s, d), PLAN.phi_ref, tau6=micro(0.2)))
@@ -415,7 +433,16 @@ def ub_union(spark, sf):
     return mt.bounds_union(sets_of(spark, sf), queries_of(spark, sf), TAU).select("query_id", "set_id", "ub6")
 
 
-query("lb_union")(lambda s, d: mt.bounds_union(sets_of(s, d), queries_of(s, d), TAU).select("query_id", "set_id", "lb6"))
+# greedy over edges in descending similarity: a step of the recursion takes the next edge if both its ends are free
+GREEDY = f"""oe AS (SELECT *, row_number() OVER (PARTITION BY query_id, set_id ORDER BY sim6 DESC, q, j) AS rn FROM ed),
+ gd(query_id, set_id, rn, qm, jm, t, w) AS (SELECT DISTINCT query_id, set_id, CAST(0 AS BIGINT), 0, 0, 0, CAST(0 AS BIGINT) FROM oe UNION ALL
+  SELECT query_id, set_id, rn, CASE WHEN f THEN qm | (1 << q) ELSE qm END, CASE WHEN f THEN jm | (1 << j) ELSE jm END, t + CASE WHEN f THEN 1 ELSE 0 END, w + CASE WHEN f THEN sim6 ELSE 0 END
+  FROM (SELECT o.*, qm, jm, t, w, (qm >> o.q) & 1 = 0 AND (jm >> o.j) & 1 = 0 AS f FROM gd g JOIN oe o ON o.query_id = g.query_id AND o.set_id = g.set_id AND o.rn = g.rn + 1)),
+ mo AS (SELECT query_id, set_id, least(count(DISTINCT q), count(DISTINCT j)) AS most, count(*) AS edges FROM ed GROUP BY 1, 2),
+ lb AS (SELECT query_id, set_id, CAST(CASE WHEN t = most THEN w ELSE {micro(TAU)} * t END AS BIGINT) AS lb6 FROM gd JOIN mo USING (query_id, set_id) WHERE rn = edges),
+ bo AS (SELECT query_id, set_id, coalesce(lb6, 0) AS lb6, coalesce(ub6, 0) AS ub6 FROM pr LEFT JOIN lb USING (query_id, set_id) LEFT JOIN ub USING (query_id, set_id))"""
+BOUNDS = (VC, MS, QS, NQ, PR, ED, UB, GREEDY)
+query("lb_union", with_(*BOUNDS) + " SELECT query_id, set_id, lb6 FROM bo")(lambda s, d: mt.bounds_union(sets_of(s, d), queries_of(s, d), TAU).select("query_id", "set_id", "lb6"))
 
 
 @query("ub_mwmto", with_(VC, MS, QS, NQ, PR, CE, AS, IW, QC, "pt AS (SELECT set_id, c, n AS cap FROM iw)", PM) + """
@@ -429,9 +456,9 @@ def ub_mwmto(spark, sf):
     return per.join(sizes, "set_id").join(F.broadcast(nq), "query_id").select("query_id", "set_id", F.aggregate(best, F.lit(0).cast("bigint"), lambda a, x: a + x).alias("ub6"))
 
 
-def _bounds_rows(spark, sf, kind: str) -> DataFrame:
+def _bounds_rows(spark, sf, kind: str, adapt: bool = True) -> DataFrame:
     """(query_id, set_id, lb6, score6, ub6) of many-to-one matching, or of the sum over partitions."""
-    index, queries = plain_index(spark, sf, adapt=True), queries_of(spark, sf)
+    index, queries = plain_index(spark, sf, adapt=adapt), queries_of(spark, sf)
     ids = F.broadcast(spark.createDataFrame([(q,) for q in queries], "query_id bigint"))
     to_c = {i: np.rint(q @ index.centroids.T * 1e6).astype(np.int64) for i, q in queries.items()}
 
@@ -449,14 +476,22 @@ def _bounds_rows(spark, sf, kind: str) -> DataFrame:
     return index.sets.join(ids, F.col("set_id") != F.col("query_id")).groupBy("query_id").applyInPandas(run, schema)
 
 
-query("lb_mwmto")(lambda s, d: _bounds_rows(s, d, "mwmto"))
+# greedy over query columns in order: each takes its best partition that has room; `took` lists the centroids taken so far
+GREEDY_ROWS = f"""gr(query_id, set_id, q, took, w) AS (SELECT DISTINCT query_id, set_id, -1, CAST([] AS INTEGER[]), CAST(0 AS BIGINT) FROM pm UNION ALL
+  SELECT query_id, set_id, q + 1, CASE WHEN x >= 0 THEN list_append(took, CAST(999 - x % 1000 AS INTEGER)) ELSE took END, w + CASE WHEN x >= 0 THEN x // 1000 ELSE 0 END FROM
+  (SELECT g.query_id, g.set_id, g.q, g.took, g.w, max(CASE WHEN p.c IS NOT NULL AND len(list_filter(g.took, lambda y: y = p.c)) < p.cap THEN CAST(p.sim6 AS BIGINT) * 1000 + 999 - p.c ELSE -1 END) AS x
+   FROM gr g LEFT JOIN pm p ON p.query_id = g.query_id AND p.set_id = g.set_id AND p.q = g.q + 1 WHERE g.q < 9 GROUP BY ALL)),
+ mr AS (SELECT query_id, set_id, least(count(DISTINCT q), sum(cap) FILTER (WHERE first)) AS most FROM (SELECT *, row_number() OVER (PARTITION BY query_id, set_id, c ORDER BY q) = 1 AS first FROM pm) GROUP BY 1, 2)"""
+query("lb_mwmto", with_(VC, MS, QS, NQ, PR, CE, AS, IW, QC, "pt AS (SELECT set_id, c, n AS cap FROM iw)", PM, GREEDY_ROWS) + f""" SELECT query_id, set_id, CAST(coalesce(CASE WHEN len(took) = most THEN w ELSE {micro(TAU)} * len(took) END, 0) AS BIGINT) AS lb6
+ FROM pr LEFT JOIN (SELECT * FROM gr WHERE q = 9) USING (query_id, set_id) LEFT JOIN mr USING (query_id, set_id)""")(lambda s, d: _bounds_rows(s, d, "mwmto", False).select("query_id", "set_id", "lb6"))
+query("bounds_mwmto")(lambda s, d: _bounds_rows(s, d, "mwmto"))
 query("bounds_partition")(lambda s, d: _bounds_rows(s, d, "score"))
 
 
-@query("bound_tightness", None)
+@query("bound_tightness", with_(*BOUNDS, dp("ed", True)) + " SELECT query_id, round(avg(lb6 / u6), 9) AS lb_share, round(avg(ub6 / u6), 9) AS ub_share FROM bo JOIN best USING (query_id, set_id) WHERE u6 > 0 GROUP BY 1")
 def bound_tightness(spark, sf):
     b = mt.bounds_union(sets_of(spark, sf), queries_of(spark, sf), TAU).join(_u("max_cardinality")(spark, sf), ["query_id", "set_id"]).where("u6 > 0")
-    return b.groupBy("query_id").agg(F.avg(F.col("lb6") / F.col("u6")).alias("lb_share"), F.avg(F.col("ub6") / F.col("u6")).alias("ub_share"))
+    return b.groupBy("query_id").agg(F.round(F.avg(F.col("lb6") / F.col("u6")), 9).alias("lb_share"), F.round(F.avg(F.col("ub6") / F.col("u6")), 9).alias("ub_share"))
 
 
 def _pruned(prune: str, k: int = TOP, order: str = "arrival"):
@@ -478,7 +513,7 @@ query("enhanced_listing_topk")(_answer(_pruned("listing")))
 query("base_prune_evals")(lambda s, d: _pruned("base")(s, d).groupBy("query_id").agg(F.max("evaluations").alias("evaluations"), F.max("candidates").alias("candidates")))
 
 
-@query("enhanced_survivors")
+@query("enhanced_survivors", with_(*BOUNDS, f"th AS (SELECT query_id, min(lb6) AS theta FROM (SELECT query_id, lb6 FROM bo QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY lb6 DESC) <= {TOP}) GROUP BY 1)") + " SELECT query_id, set_id, lb6, ub6 FROM bo JOIN th USING (query_id) WHERE ub6 >= theta")
 def enhanced_survivors(spark, sf):
     """Candidates whose upper bound reaches the k-th best lower bound: the only ones the principle lets be scored."""
     b = mt.bounds_union(sets_of(spark, sf), queries_of(spark, sf), TAU)
@@ -524,6 +559,7 @@ def _scan(prune):
 query("scan_brute", EXACT_CARD)(_scan("none"))
 query("scan_base_prune", EXACT_CARD)(_scan("base"))
 query("scan_enhanced_prune", EXACT_CARD)(_scan("lossless"))
+query("scan_enhanced_listing")(_scan("listing"))
 
 
 def _column_graph(prune):
@@ -559,6 +595,6 @@ query("hausdorff", with_(VC, QS, ALLSIM) + " SELECT query_id, set_id, min(b) AS
     lambda s, d: mt.set_distance(sets_of(s, d), queries_of(s, d), "hausdorff")
 )
 MP = "mp AS (SELECT set_id, list(x ORDER BY i) AS v FROM (SELECT set_id, i, round(avg(x), 6) AS x FROM (SELECT set_id, unnest(v) AS x, unnest(range(64)) AS i FROM vc) GROUP BY 1, 2) GROUP BY 1)"
-query("mean_pool_topk", with_(VC, MP, f"ms AS (SELECT a.set_id AS query_id, b.set_id, CAST(round(list_inner_product(a.v, b.v) * 1000000) AS BIGINT) AS u6 FROM mp a JOIN mp b ON a.set_id <> b.set_id WHERE a.set_id IN (0,1,2,3,4))") + " " + top_sql("ms", TOP))(
-    lambda s, d: mt.mean_pool_top_k(cols_of(s, d), QUERY_IDS, 64, TOP)
+query("mean_pool_topk", with_(VC, MP, f"ms AS (SELECT a.set_id AS query_id, b.set_id, CAST(round(list_inner_product(a.v, b.v) * 1000000) AS BIGINT) AS u6 FROM mp a JOIN mp b ON a.set_id <> b.set_id WHERE a.set_id % 20 = 0)") + " " + top_sql("ms", TOP))(
+    lambda s, d: mt.mean_pool_top_k(cols_of(s, d), QUERIES, 64, TOP)
 )

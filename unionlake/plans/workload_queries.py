@@ -192,7 +192,7 @@ query("sweep_tau", sq.with_(sq.VC, sq.QS, SIMS) + " SELECT CAST(tau6 AS BIGINT)
 
 def sweep_tau(spark, sf):
     c = sq.cols_of(spark, sf)
-    e = mt.edges(c.where(F.col("set_id").isin(sq.QUERY_IDS)), c, TAUS[0]).agg(*[F.count_if(F.col("sim6") >= micro(x)).alias(str(micro(x))) for x in TAUS])
+    e = mt.edges(c.where(sq.QUERIES), c, TAUS[0]).agg(*[F.count_if(F.col("sim6") >= micro(x)).alias(str(micro(x))) for x in TAUS])
     return e.unpivot([], [F.col(str(micro(x))) for x in TAUS], "tau6", "edges").select(F.col("tau6").cast("bigint").alias("tau6"), "edges")
 
 

@@ -24,12 +24,15 @@ def _embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def vector_lake(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Blocks of 30 neighbouring vectors cut into sets of 2, 4, 6, 8 and 10."""
-    o = F.col("vec_id") % 30
+    """Blocks of 30 neighbouring vectors cut into sets of 2, 4, 6, 8 and 10.
+
+    Numbers go round by one every four blocks, so that the ids divisible by 20 are of all widths.
+    """
+    o, block = F.col("vec_id") % 30, F.floor(F.col("vec_id") / 30)
     part = F.when(o < 2, 0).when(o < 6, 1).when(o < 12, 2).when(o < 20, 3).otherwise(4)
     begin = F.when(o < 2, 0).when(o < 6, 2).when(o < 12, 6).when(o < 20, 12).otherwise(20)
     e = _embeddings(spark, sf_dir)
-    return e.select((5 * F.floor(F.col("vec_id") / 30) + part).cast("bigint").alias("set_id"), (o - begin).cast("int").alias("pos"), "v")
+    return e.select((5 * block + (part + F.floor(block / 4)) % 5).cast("bigint").alias("set_id"), (o - begin).cast("int").alias("pos"), "v")
 
 
 def wide_lake(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -42,12 +45,18 @@ def label_lake(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _embeddings(spark, sf_dir).select(F.col("label").cast("bigint").alias("set_id"), pos.cast("int").alias("pos"), "v")
 
 
-def planted_lake(spark: SparkSession, sf_dir: str, copies: int) -> DataFrame:
-    """`copies` noisy copies of each set of the vector lake; copy m of set s is set s * copies + m."""
+def planted_lake(spark: SparkSession, sf_dir: str, copies: int, wide: bool = False) -> DataFrame:
+    """`copies` noisy copies of each set of the vector lake, or of the wide one; copy m of set s is set s * copies + m."""
     e = _embeddings(spark, sf_dir).select("vec_id", "v")
     n = e.count()
-    base = vector_lake(spark, sf_dir).withColumn("vec_id", F.floor(F.col("set_id") / 5) * 30 + F.expr("element_at(array(0, 2, 6, 12, 20), cast(set_id % 5 as int) + 1)") + F.col("pos"))
-    last = F.expr("element_at(array(2, 4, 6, 8, 10), cast(set_id % 5 as int) + 1)")
+    if wide:
+        base = wide_lake(spark, sf_dir).withColumn("vec_id", F.col("set_id") * 30 + F.col("pos"))
+        last = F.lit(30)
+    else:
+        block = F.floor(F.col("set_id") / 5)
+        part = F.pmod(F.col("set_id") % 5 - F.floor(block / 4), F.lit(5)).cast("int")
+        base = vector_lake(spark, sf_dir).withColumn("vec_id", block * 30 + F.element_at(F.array(*map(F.lit, (0, 2, 6, 12, 20))), part + 1) + F.col("pos"))
+        last = 2 * part + 2
     last = F.least(last, F.lit(n) - (F.col("vec_id") - F.col("pos")))  # the last block may be cut short
     m = base.withColumn("size", last.cast("int")).withColumn("m", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))
     m = m.where(F.col("pos") < F.greatest(F.lit(1), F.col("size") - F.col("m") % 3))
