@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unionlake.llm.common import checkpointed
+from unionlake.llm.common import checkpointed, discard, light, portions
 
 BITS = 64
 
@@ -57,11 +57,11 @@ def fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
     """(doc_id, fp) with the fingerprint as a signed long."""
 
     def run(batches):
-        for batch in batches:
+        for batch in (p for b in batches for p in portions(b, 1)):
             fps = [majority(shingle_hashes(words_of(t), shingle)) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.array(fps, np.uint64).view(np.int64))], ["doc_id", "fp"])
 
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(run, "doc_id bigint, fp bigint")
+    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(light(run), "doc_id bigint, fp bigint")
 
 
 def masks(radius: int) -> list[int]:
@@ -109,26 +109,39 @@ def links(fps: DataFrame, radius: int = 2, bucket_rows: int = 200) -> DataFrame:
     return left.join(right, ["v", "key", "cut", "part", "sub"]).where(near & earlier & first_part).select("a", "b")
 
 
-def components(spark: SparkSession, edges: DataFrame, names: DataFrame, rounds: int = 100) -> DataFrame:
+def components(spark: SparkSession, edges: DataFrame, names: DataFrame, rounds: int = 100, broadcast_nodes: int = 1_000_000, salts: int = 16) -> DataFrame:
     """(node, root): for each node of `edges` (a, b) the least name reachable. names: (node, name).
 
     Labels spread along edges and are then shortened through the label's own label, so rounds grow
-    with the logarithm of a component's width; each round is written out.
+    with the logarithm of a component's width; each round is written out. Many nodes share a label
+    and a hub has many neighbours: up to broadcast_nodes nodes the labels are a broadcast, beyond
+    that they are copied under `salts` salts and the nodes or edges dealt over these.
     """
     both = edges.select(F.col("a").alias("node"), F.col("b").alias("near")).unionByName(edges.select(F.col("b").alias("node"), F.col("a").alias("near"))).distinct()
     both = checkpointed(spark, both, "edges")
     nodes = both.select("node").distinct().join(names, "node")
-    state = checkpointed(spark, nodes.select("node", F.col("name").alias("root")), "roots")
+    held = checkpointed(spark, nodes.select("node", "name", F.col("name").alias("root")), "roots")
+    few = held.count() <= broadcast_nodes
+    salt = F.pmod(F.xxhash64("node"), F.lit(salts)).cast("int")
+
+    def looked_up(rows: DataFrame, table: DataFrame, key: str) -> DataFrame:
+        if few:
+            return rows.join(F.broadcast(table), key, "left")
+        copies = table.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+        return rows.withColumn("salt", salt).join(copies, [key, "salt"], "left").drop("salt")
+
     for _ in range(rounds):
-        heard = both.join(state.select(F.col("node").alias("near"), "root"), "near").groupBy("node").agg(F.min("root").alias("heard"))
-        step = state.join(heard, "node", "left").select("node", F.col("root").alias("old"), F.least("root", "heard").alias("root"))
-        owner = names.select(F.col("name").alias("root"), F.col("node").alias("owner"))
-        jump = step.join(owner, "root", "left").join(step.select(F.col("node").alias("owner"), F.col("root").alias("far")), "owner", "left")
-        new = checkpointed(spark, jump.select("node", "old", F.least("root", "far").alias("root")), "roots")
-        moved = new.where("not (root <=> old)").limit(1).count()
-        state = new.select("node", "root")
-        if not moved:
-            return state
+        state = held.select("node", "name", "root")
+        heard = looked_up(both, state.select(F.col("node").alias("near"), "root"), "near").groupBy("node").agg(F.min("root").alias("heard"))
+        step = checkpointed(spark, state.join(heard, "node", "left").select("node", "name", F.col("root").alias("old"), F.least("root", "heard").alias("root")), "heard")
+        hops = step.where("root < name").groupBy(F.col("name").alias("root")).agg(F.min("root").alias("far"))
+        new = looked_up(step, hops, "root").select("node", "name", "old", F.least("root", "far").alias("root"))
+        new = checkpointed(spark, new, "roots")
+        discard(spark, held, step)
+        held = new
+        if not new.where("not (root <=> old)").limit(1).count():
+            discard(spark, both)
+            return new.select("node", "root")
     raise RuntimeError(f"components did not settle in {rounds} rounds")
 
 

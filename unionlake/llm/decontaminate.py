@@ -4,8 +4,8 @@ Texts are words of lower-cased ASCII; a window is `width` consecutive words of a
 item of fewer. A task maps words to small integers (0: not in any item), hashes only windows free
 of 0 with a rolling polynomial, looks the hashes up in the sorted set and verifies hits word by word.
 
-The set is broadcast only while its measured size allows. A larger benchmark is cut into blocks of
-items; each block scans all documents and the hits are joined per document.
+The set is broadcast only while its measured size allows. A larger benchmark is read in blocks of
+items up to that size; each block scans all documents, and their hits are written and joined to them.
 
 Defined results: null texts and null items have no words; an item without words never occurs;
 items that repeat an item_id count as one; repeated documents give a row each; an empty benchmark
@@ -16,7 +16,9 @@ from __future__ import annotations
 
 import hashlib
 from collections import defaultdict
-from itertools import repeat
+from collections.abc import Iterator
+from functools import reduce
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -24,6 +26,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from unionlake.llm.common import checkpointed, light, portions
+
 #: Bytes that belong to no word become blanks and A-Z lower case; the rest are digits, a-z and UTF-8 beyond ASCII.
 FOLD = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
 SCHEMA = "doc_id bigint, n_words bigint, n_hit bigint, n_items bigint, items_sha256 string, contaminated boolean"
@@ -82,73 +86,82 @@ class WindowSet:
         return hit, found
 
 
-def _blocks(benchmark: DataFrame, limit_bytes: int, item_col: str, text_col: str) -> list[list[tuple[int, str]]]:
-    """The items in blocks of at most limit_bytes of text each (a longer item alone)."""
+def _blocks(benchmark: DataFrame, limit_bytes: int, item_col: str, text_col: str) -> Iterator[list[tuple[int, str]]]:
+    """The items in blocks of at most limit_bytes of text each (a longer item alone), one after another; one empty block of none.
+
+    The driver holds a block and a partition of the benchmark at a time.
+    """
     rows = benchmark.select(F.col(item_col).cast("bigint").alias("item"), F.col(text_col).alias("text")).where("item is not null and text is not null").distinct()
-    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    if size <= limit_bytes:
-        return [[(r["item"], r["text"]) for r in rows.collect()]]
-    n = -(-2 * size // limit_bytes)
-    return [[(r["item"], r["text"]) for r in rows.where(F.pmod(F.xxhash64("item"), F.lit(n)) == i).collect()] for i in range(n)]
+    block, size, some = [], 0, False
+    for r in rows.toLocalIterator():
+        own = len(r["text"].encode("utf-8", "replace"))
+        if block and size + own > limit_bytes:
+            yield block
+            block, size, some = [], 0, True
+        block.append((r["item"], r["text"]))
+        size += own
+    if block or not some:
+        yield block
+
+
+def _hits(docs: DataFrame, block: list[tuple[int, str]], width: int, spark: SparkSession) -> DataFrame:
+    """(doc_id, key, hit, items) of the rows of docs (doc_id, key, text) in which an item of the block occurs."""
+    shared = spark.sparkContext.broadcast(WindowSet(block, width))
+
+    def run(batches):
+        seek = shared.value
+        for batch in (p for b in batches for p in portions(b, 2)):
+            got = [seek.hits(words_of(t)) for t in batch.column(2).to_pylist()]
+            at = [i for i, (_, items) in enumerate(got) if items]
+            columns = [pa.array(c, pa.list_(pa.int64())) for c in ([np.flatnonzero(got[i][0]) for i in at], [sorted(got[i][1]) for i in at])]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c).take(pa.array(at, pa.int64())) for c in (0, 1)), *columns], ["doc_id", "key", "hit", "items"])
 
+    return docs.mapInArrow(light(run), "doc_id bigint, key bigint, hit array<bigint>, items array<bigint>")
 
-def _report(hit_words: int, n_words: int, items: set[int]) -> tuple:
-    names = ",".join(sorted(map(str, items)))
-    return n_words, hit_words, len(items), hashlib.sha256(names.encode()).hexdigest(), hit_words > 0
+
+def _counted(docs: DataFrame) -> DataFrame:
+    """(doc_id, key, n_words) of the rows of docs (doc_id, key, text)."""
+
+    def run(batches):
+        for batch in (p for b in batches for p in portions(b, 2)):
+            n = [len(words_of(t)) for t in batch.column(2).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(n, pa.int64())], ["doc_id", "key", "n_words"])
+
+    return docs.mapInArrow(light(run), "doc_id bigint, key bigint, n_words bigint")
 
 
 def scan(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, width: int = 10, limit_bytes: int = 16 << 20, item_col: str = "item_id") -> DataFrame:
     """One row per document: words, words hit, items with occurring windows."""
-    blocks = _blocks(benchmark, limit_bytes, item_col, "text")
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    if len(blocks) == 1:
-        shared = spark.sparkContext.broadcast(WindowSet(blocks[0], width))
+    blocks = _blocks(benchmark, limit_bytes, item_col, "text")
+    block, more = next(blocks), next(blocks, None)
+    if more is None:
+        shared = spark.sparkContext.broadcast(WindowSet(block, width))
 
         def one(batches):
             seek = shared.value
-            for batch in batches:
+            for batch in (p for b in batches for p in portions(b, 1)):
                 out = []
                 for text in batch.column(1).to_pylist():
                     w = words_of(text)
                     hit, items = seek.hits(w)
-                    out.append(_report(int(hit.sum()), len(w), items))
-                yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c) for c in zip(*out, strict=True))], [f.split()[0] for f in SCHEMA.split(", ")]) if out else pa.RecordBatch.from_pylist([], _arrow())
-
-        return rows.mapInArrow(one, SCHEMA)
+                    names = ",".join(sorted(map(str, items)))
+                    out.append((len(w), int(hit.sum()), len(items), hashlib.sha256(names.encode()).hexdigest(), bool(items)))
+                yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c) for c in zip(*out, strict=True))], [f.split()[0] for f in SCHEMA.split(", ")])
 
-    keyed = rows.withColumn("key", F.xxhash64("text"))
-    parts = []
-    for block in blocks:
-        shared = spark.sparkContext.broadcast(WindowSet(block, width))
+        return rows.mapInArrow(light(one), SCHEMA)
 
-        def some(batches, shared=shared):
-            seek = shared.value
-            for batch in batches:
-                out = []
-                for text in batch.column(1).to_pylist():
-                    w = words_of(text)
-                    hit, items = seek.hits(w)
-                    out.append((len(w), np.flatnonzero(hit).tolist(), sorted(items)))
-                kinds = [pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64())]
-                columns = [pa.array([o[i] for o in out], kinds[i]) for i in range(3)]
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *columns], ["doc_id", "key", "n_words", "hit", "items"])
-
-        parts.append(keyed.mapInArrow(some, "doc_id bigint, key bigint, n_words bigint, hit array<bigint>, items array<bigint>"))
-    every = parts[0]
-    for p in parts[1:]:
-        every = every.unionByName(p)
+    # a block's hits are few and are written before the next block is read; equal rows have equal hits
+    keyed = rows.select("doc_id", F.xxhash64("text").alias("key"), "text")
+    parts = [checkpointed(spark, _hits(keyed, b, width, spark), "hits") for b in chain([block, more], blocks)]
     flat = lambda c: F.array_distinct(F.flatten(F.collect_list(c)))
-    per = every.groupBy("doc_id", "key", "n_words").agg(flat("hit").alias("hit"), flat("items").alias("items"), (F.count("*") / len(blocks)).cast("int").alias("copies"))
-    names = F.array_join(F.array_sort(F.transform("items", lambda x: x.cast("string"))), ",")
-    return per.select(
-        "doc_id", "n_words", F.size("hit").cast("bigint").alias("n_hit"), F.size("items").cast("bigint").alias("n_items"),
-        F.sha2(names, 256).alias("items_sha256"), (F.size("hit") > 0).alias("contaminated"), F.explode(F.sequence(F.lit(1), "copies")).alias("_copy"),
-    ).drop("_copy")
-
-
-def _arrow() -> pa.Schema:
-    kinds = {"bigint": pa.int64(), "string": pa.string(), "boolean": pa.bool_()}
-    return pa.schema([(f.split()[0], kinds[f.split()[1]]) for f in SCHEMA.split(", ")])
+    hits = reduce(DataFrame.unionByName, parts).groupBy(F.col("doc_id").alias("id"), F.col("key").alias("k")).agg(flat("hit").alias("hit"), flat("items").alias("items"))
+    every = _counted(keyed).join(hits, F.col("doc_id").eqNullSafe(F.col("id")) & (F.col("key") == F.col("k")), "left")
+    none = F.array().cast("array<bigint>")
+    names = F.array_join(F.array_sort(F.transform(F.coalesce("items", none), lambda x: x.cast("string"))), ",")
+    size = lambda c: F.coalesce(F.size(c), F.lit(0)).cast("bigint")
+    sizes = [F.when(F.col("items").isNull(), 0).otherwise(size(c)).cast("bigint").alias(n) for c, n in (("hit", "n_hit"), ("items", "n_items"))]
+    return every.select("doc_id", "n_words", *sizes, F.sha2(names, 256).alias("items_sha256"), F.col("items").isNotNull().alias("contaminated"))
 
 
 def strip(text: str, sets: list[WindowSet]) -> str:
@@ -187,12 +200,15 @@ def clean(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, action: st
         raise ValueError(f"unknown action {action!r}")
     schema = docs.schema
     names, at = docs.columns, docs.columns.index("text")
-    for block in _blocks(benchmark, limit_bytes, item_col, "text"):
+    nullable = T.StructType([T.StructField(f.name, f.dataType, True) for f in schema])
+    for n, block in enumerate(_blocks(benchmark, limit_bytes, item_col, "text")):
+        if n:
+            docs = checkpointed(spark, docs, "clean")
         shared = spark.sparkContext.broadcast(WindowSet(block, width))
 
         def keep(batches, shared=shared):
             seek = shared.value
-            for batch in batches:
+            for batch in (p for b in batches for p in portions(b, at)):
                 texts = batch.column(at).to_pylist()
                 dirty = [bool(seek.hits(words_of(t))[0].any()) for t in texts]
                 if action == "drop":
@@ -201,5 +217,5 @@ def clean(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, action: st
                     new = pa.array([strip(t, [seek]) if d else t for t, d in zip(texts, dirty, strict=True)], batch.column(at).type)
                     yield pa.RecordBatch.from_arrays([new if i == at else batch.column(i) for i in range(len(names))], names=names)
 
-        docs = docs.mapInArrow(keep, T.StructType([T.StructField(f.name, f.dataType, True) for f in schema]))
+        docs = docs.mapInArrow(light(keep), nullable)
     return docs

@@ -56,15 +56,16 @@ def exact_classes(
     text_col: str = "text",
     broadcast_ids: int = 2_000_000,
     rows_per_salt: int = 1_000,
+    known: DataFrame | None = None,
 ) -> DataFrame:
     """(id, fingerprint, class_id) of each distinct (id, fingerprint); class_id: the smallest id of equal canonical bytes.
 
-    Only documents whose fingerprint occurs more than once are compared. Their ids filter the text
+    known: (id, fingerprint) of all rows, if they are written already. Only documents whose fingerprint occurs more than once are compared. Their ids filter the text
     scan as a broadcast set of at most broadcast_ids longs, by a shuffled join beyond that. A bucket
     is spread over one salt per rows_per_salt rows, each with a copy of the bucket's first text, so
     no group of copies meets in one task.
     """
-    light = checkpointed(spark, fingerprints(docs, id_col, text_col).select(F.col(id_col).alias("id"), "fingerprint"), "fingerprints")
+    light = known or checkpointed(spark, fingerprints(docs, id_col, text_col).select(F.col(id_col).alias("id"), "fingerprint"), "fingerprints")
     buckets = light.groupBy("fingerprint").agg(F.min("id").alias("first_id"), F.count("*").alias("n"))
     shared = buckets.where("n > 1 and first_id is not null")
     members = checkpointed(spark, light.where("id is not null").distinct().join(shared, "fingerprint"), "members")
@@ -137,5 +138,7 @@ def edited_report(spark: SparkSession, docs: DataFrame) -> DataFrame:
         likeness("edited_fingerprint", "edited").alias("near_edited"),
         likeness("next_fingerprint", "next_text").alias("near_next"),
     )
-    classes = exact_classes(spark, docs).select(F.col("doc_id").alias("_id"), F.col("fingerprint").alias("_fp"), "class_id")
+    rows = checkpointed(spark, rows, "edited")
+    known = rows.select(F.col("doc_id").alias("id"), "fingerprint")
+    classes = exact_classes(spark, docs, known=known).select(F.col("doc_id").alias("_id"), F.col("fingerprint").alias("_fp"), "class_id")
     return rows.join(classes, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("fingerprint") == F.col("_fp")), "left").drop("_id", "_fp")

@@ -4,8 +4,10 @@ One model per language over lower-cased letters (anything else is one blank). Th
 uses counts, the lower ones how many different characters stand before; every order is interpolated
 with the next. The runs of all languages share one sorted hash array per order, whose rows hold the
 log probability in each language and, for contexts, the log weight passed down. A text's language
-is the one of the lowest cross-entropy per character; calibration on training texts gives a limit
-above which a text is rejected as in none of the languages.
+is the one of the lowest cross-entropy per character. Calibration on training texts that were not
+counted gives each language a limit above which a text is rejected as in none of the languages: the
+mean of their cross-entropies and `slack` standard deviations, and for a text of n characters `sway`
+standard deviations of one character's cost over the root of n, as short texts vary more.
 
 Defined results: null texts and texts without a letter are `und` with score 0 and rejected; rows
 without a language are not learned from; with no labelled row at all every text is `und`; repeated
@@ -19,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unionlake.llm.common import id_remainder
+from unionlake.llm.common import id_remainder, light, portions
 from unionlake.llm.hash_arrays import HashArray
 
 SCHEMA = "doc_id bigint, held_out boolean, lang_pred string, score double, cross_entropy double, rejected boolean"
@@ -115,10 +117,17 @@ class Models:
             t, c = HashArray(keys), HashArray(own)
             self.tables[k] = (t, np.log(p[t.order]).astype(np.float32))
             self.passed[k] = (c, np.log(weight[c.order]).astype(np.float32))
-        self.limits = np.full(n_lang, np.inf)
+        self.limits, self.sways = np.full(n_lang, np.inf), np.zeros(n_lang)
 
     def cross_entropies(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """Nats per character of each text in each language, and how many characters were scored."""
+        logs, starts, ends = self.costs(texts)
+        sums = np.concatenate((np.zeros((1, logs.shape[1])), np.cumsum(logs, axis=0, dtype=np.float64)))
+        n = ends - starts
+        return (sums[ends] - sums[starts]) / np.maximum(n, 1)[:, None], n
+
+    def costs(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Nats of each character of all texts in each language, and where each text's begin and end."""
         order, base = self.order, np.uint64(self.base)
         codes, begins = self.alphabet.codes(texts, order - 1)
         key, places = runs(codes, begins, order, self.base)
@@ -142,10 +151,7 @@ class Models:
             logs[todo[known]] += weights[at[known]]
         logs[todo] -= np.float32(np.log(self.base))
         ends = np.append(np.searchsorted(places, begins[1:]), len(places))
-        starts = np.searchsorted(places, begins)
-        sums = np.concatenate((np.zeros((1, n_lang)), np.cumsum(logs, axis=0, dtype=np.float64)))
-        n = ends - starts
-        return -(sums[ends] - sums[starts]) / np.maximum(n, 1)[:, None], n
+        return -logs, np.searchsorted(places, begins), ends
 
     def predict(self, texts: list[str | None], sharpness: float = 12.0) -> list[tuple[str, float, float | None, bool]]:
         """(language, score, cross-entropy, rejected) of each text."""
@@ -154,12 +160,13 @@ class Models:
         lettered = [t is not None and any(map(str.isalpha, t)) for t in texts]
         if not self.languages:
             return [("und", 0.0, None, True)] * len(texts)
-        h, _ = self.cross_entropies(texts)
+        h, n = self.cross_entropies(texts)
         best = h.argmin(1)
         odds = np.exp(-sharpness * (h - h.min(1, keepdims=True)))
         score = odds.max(1) / odds.sum(1)
         low = h[np.arange(len(h)), best]
-        return [(self.languages[b], float(s), float(x), bool(x > self.limits[b])) if ok else ("und", 0.0, None, True) for b, s, x, ok in zip(best, score, low, lettered, strict=True)]
+        rejected = low > self.limits[best] + self.sways[best] / np.sqrt(np.maximum(n, 1))
+        return [(self.languages[b], float(s), float(x), bool(r)) if ok else ("und", 0.0, None, True) for b, s, x, r, ok in zip(best, score, low, rejected, lettered, strict=True)]
 
 
 def sample(docs: DataFrame, label: str, most: int, salt: int) -> DataFrame:
@@ -173,11 +180,11 @@ def sample(docs: DataFrame, label: str, most: int, salt: int) -> DataFrame:
     return chosen.where(share < F.lit(float(most)) / F.col("_n")).drop("_n")
 
 
-def train(spark: SparkSession, docs: DataFrame, order: int = 4, most_per_language: int = 1500, most_languages: int = 500, slack: float = 8.0) -> Models:
+def train(spark: SparkSession, docs: DataFrame, order: int = 4, most_per_language: int = 1500, most_languages: int = 500, slack: float = 12.0, sway: float = 5.0) -> Models:
     """Fits on at most about most_per_language texts of each language, whole; counting is distributed.
 
-    Every tenth sampled text is not counted but used for the limits: the mean cross-entropy of a
-    language's texts plus `slack` standard deviations, and never less than what a uniform guess costs.
+    Every tenth sampled text is not counted but used for the limits, if it has 50 characters; a language
+    without such a text takes the widest limit of the others.
     """
     labelled = docs.where("lang is not null and text is not null").select("lang", "text")
     picked = sample(labelled, "lang", most_per_language, 3).cache()
@@ -187,7 +194,7 @@ def train(spark: SparkSession, docs: DataFrame, order: int = 4, most_per_languag
         if len(languages) > most_languages:
             raise ValueError(f"more than {most_languages} languages")
         letters = picked.select(F.explode(F.array_distinct(F.split(F.lower("text"), ""))).alias("c")).where(r"c rlike '^\\p{L}$'")
-        letters = letters.groupBy("c").count().orderBy(F.desc("count"), "c").limit(60_000 if len(languages) > 50 else 2_000).collect()
+        letters = letters.groupBy("c").count().orderBy(F.desc("count"), "c").limit(60_000).collect()
         letters = sorted(r["c"] for r in letters if len(r["c"]) == 1)
 
         def count(batches):
@@ -212,17 +219,20 @@ def train(spark: SparkSession, docs: DataFrame, order: int = 4, most_per_languag
 
             def measure(batches):
                 m = shared.value
-                for batch in batches:
-                    texts = batch.column(1).to_pylist()
-                    if texts:
-                        h, n = m.cross_entropies(texts)
-                        own = [m.languages.index(x) for x in batch.column(0).to_pylist()]
-                        x = h[np.arange(len(h)), own]
-                        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(x), pa.array(n.astype(np.int64))], ["lang", "h", "n"])
-
-            seen = picked.where(tenth).mapInArrow(measure, "lang string, h double, n bigint").where("n >= 50")
-            for r in seen.groupBy("lang").agg(F.avg("h").alias("m"), F.stddev("h").alias("s"), F.max("h").alias("top")).collect():
-                models.limits[languages.index(r["lang"])] = max(r["m"] + slack * (r["s"] or 0.0), 1.5 * r["top"], np.log(models.base))
+                for part in (p for batch in batches for p in portions(batch, 1, PIECE)):
+                    logs, starts, ends = m.costs(part.column(1).to_pylist())
+                    own = [m.languages.index(x) for x in part.column(0).to_pylist()]
+                    x = [logs[a:b, i].astype(np.float64) for a, b, i in zip(starts, ends, own, strict=True)]
+                    mean, variance = ([float(f(c)) if len(c) else 0.0 for c in x] for f in (np.mean, np.var))
+                    yield pa.RecordBatch.from_arrays([part.column(0), pa.array(mean), pa.array(variance), pa.array(list(map(len, x)), pa.int64())], ["lang", "h", "v", "n"])
+
+            seen = picked.where(tenth).mapInArrow(light(measure), "lang string, h double, v double, n bigint").where("n >= 50")
+            for r in seen.groupBy("lang").agg(F.avg("h").alias("m"), F.stddev("h").alias("s"), F.avg("v").alias("v")).collect():
+                at = languages.index(r["lang"])
+                models.limits[at], models.sways[at] = r["m"] + slack * (r["s"] or 0.0), sway * np.sqrt(r["v"])
+            measured = np.isfinite(models.limits)
+            if measured.any():
+                models.limits[~measured], models.sways[~measured] = models.limits[measured].max(), models.sways[measured].max()
         return models
     finally:
         picked.unpersist()
@@ -233,19 +243,12 @@ def predict(spark: SparkSession, docs: DataFrame, models: Models, held_out) -> D
 
     def run(batches):
         m = shared.value
-        for batch in batches:
-            texts, out, at = batch.column(2).to_pylist(), [], 0
-            while at < len(texts):
-                part, size = [], 0
-                while at + len(part) < len(texts) and (size < PIECE or not part):
-                    part.append(texts[at + len(part)])
-                    size += len(part[-1] or "") + 8
-                out += m.predict(part)
-                at += len(part)
+        for batch in (p for b in batches for p in portions(b, 2, PIECE)):
+            out = m.predict(batch.column(2).to_pylist())
             kinds = [pa.string(), pa.float64(), pa.float64(), pa.bool_()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array([o[i] for o in out], k) for i, k in enumerate(kinds))], [f.split()[0] for f in SCHEMA.split(", ")])
 
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), held_out.alias("held_out"), "text").mapInArrow(run, SCHEMA)
+    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), held_out.alias("held_out"), "text").mapInArrow(light(run), SCHEMA)
 
 
 def identify(spark: SparkSession, docs: DataFrame, order: int = 4, most_per_language: int = 1500, modulus: int = 4, held: int = 2) -> DataFrame:
@@ -260,9 +263,7 @@ def accept(spark: SparkSession, docs: DataFrame, order: int = 4, most_per_langua
     shared, at = spark.sparkContext.broadcast(models), docs.columns.index("text")
 
     def run(batches):
-        for batch in batches:
-            for low in range(0, batch.num_rows, 500):
-                part = batch.slice(low, 500)
-                yield part.filter(pa.array([not r[3] for r in shared.value.predict(part.column(at).to_pylist())], pa.bool_()))
+        for part in (p for batch in batches for p in portions(batch, at, PIECE)):
+            yield part.filter(pa.array([not r[3] for r in shared.value.predict(part.column(at).to_pylist())], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(light(run), docs.schema)

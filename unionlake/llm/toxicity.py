@@ -2,8 +2,9 @@
 
 Words become classes: insult, threat, target, negation, reported speech, other. Small transducers
 each rewrite the class string of a clause - one marks what stands under reported speech, one what
-stands under a negation, one what is aimed at a target - and their composition is one
-deterministic transducer, whose outputs carry weights. A text's score is the logistic of a bias and
+stands under a negation, one what is aimed at a target before it - and their composition is one
+deterministic transducer, whose outputs carry weights. What is aimed at a target behind it is
+marked by the last of them once more, run from the clause's end over the outputs. A text's score is the logistic of a bias and
 the weights of its matched clauses, so a word counts by the clause it stands in.
 
 The insult lexicon starts from common words and is widened from labelled texts: whole words and
@@ -27,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unionlake.llm.common import checkpointed, id_remainder
+from unionlake.llm.common import checkpointed, id_remainder, light, portions
 
 SCHEMA = "doc_id bigint, held_out boolean, score double, predicted int, clauses int"
 
@@ -91,23 +92,26 @@ def within(trigger: str, reach: int | None, rewrite: dict[str, str]) -> Transduc
 CLASSES = "OITYNR"
 
 
+def aimed(scope: int = 3) -> Transducer:
+    return within("Y", scope, {"I": "A", "T": "B"})
+
+
 def grammar(scope: int = 3) -> Transducer:
     reported = within("R", None, {"I": "i", "T": "t"})
     negated = within("N", scope, {"I": "j", "T": "u"})
-    aimed = within("Y", scope, {"I": "A", "T": "B"})
-    return compose(compose(reported, negated, CLASSES), aimed, CLASSES)
+    return compose(compose(reported, negated, CLASSES), aimed(scope), CLASSES)
 
 
 class Scorer:
     """words: class and weight of each word; stems: weight of each beginning of insults; a text's sum z of its clauses
     scores the logistic of slope * z + bias."""
 
-    def __init__(self, words: dict[str, tuple[str, float]], stems: dict[str, float], factors: dict[str, float], slope: float = 1.0, bias: float = -3.0, remembered: int = 250_000):
+    def __init__(self, words: dict[str, tuple[str, float]], stems: dict[str, float], factors: dict[str, float], slope: float = 1.0, bias: float = -3.0, remembered: int = 60_000):
         self.words = {w.encode(): x for w, x in words.items()}
         self.stems = {w.encode(): ("I", x) for w, x in stems.items()}
         self.lengths = sorted({len(w) for w in self.stems}, reverse=True)
         self.factors, self.slope, self.bias, self.remembered = factors, slope, bias, remembered
-        self.machine = grammar()
+        self.machine, self.back = grammar(), aimed()
         self.plain: set[bytes] = set()
 
     def kind(self, word: bytes) -> tuple[str, float]:
@@ -139,9 +143,14 @@ class Scorer:
             kinds = [self.kind(w) for w in clause.encode().translate(_FOLD).split()]
             if not any(k in "IT" for k, _ in kinds):
                 continue
-            state, best = 0, None
-            for x, weight in kinds:
+            state, best, marks = 0, None, []
+            for x, _ in kinds:
                 state, y = self.machine.step(state, x)
+                marks.append(y)
+            state = 0
+            for i in range(len(marks) - 1, -1, -1):
+                state, marks[i] = self.back.step(state, marks[i])
+            for y, (_, weight) in zip(marks, kinds, strict=True):
                 if y in self.factors and (best is None or self.factors[y] * weight > self.factors[best[0]] * best[1]):
                     best = (y, weight)
             if best:
@@ -225,7 +234,7 @@ def train(spark: SparkSession, known: DataFrame, sizes: dict[int, int], stems: t
                     seen[t][toxic] += 1
         yield pa.RecordBatch.from_pydict({"term": list(seen), "clean": [v[0] for v in seen.values()], "toxic": [v[1] for v in seen.values()]}, pa.schema([("term", pa.string()), ("clean", pa.int64()), ("toxic", pa.int64())]))
 
-    terms = rows.mapInArrow(count, "term string, clean bigint, toxic bigint").groupBy("term").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic"))
+    terms = rows.mapInArrow(light(count), "term string, clean bigint, toxic bigint").groupBy("term").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic"))
     pure = F.col("clean") / n_clean <= purity * F.col("toxic") / n_toxic
     seeds = [w for w, (c, _) in words.items() if c in "IT"]
     seen = {r["term"]: (r["clean"], r["toxic"]) for r in terms.where(((F.col("toxic") >= support) & pure) | F.col("term").isin(seeds)).collect()}  # bounded by the sample
@@ -237,7 +246,7 @@ def train(spark: SparkSession, known: DataFrame, sizes: dict[int, int], stems: t
             yield pa.RecordBatch.from_pydict({"terms": [sorted(_terms(t, stems) & shared.value) for t in batch.column(0).to_pylist()]}, pa.schema([("terms", pa.list_(pa.string()))]))
 
     holds: dict[str, set[int]] = defaultdict(set)
-    for i, r in enumerate(rows.where("toxic = 1").select("text").mapInArrow(cover, "terms array<string>").collect()):  # bounded by the sample
+    for i, r in enumerate(rows.where("toxic = 1").select("text").mapInArrow(light(cover), "terms array<string>").collect()):  # bounded by the sample
         for t in r["terms"]:
             holds[t].add(i)
     chosen, open_ = [], set().union(*holds.values()) if holds else set()
@@ -263,7 +272,7 @@ def train(spark: SparkSession, known: DataFrame, sizes: dict[int, int], stems: t
             got = [fitted.value.clauses(t) for t in batch.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array([[p for p, _ in g] for g in got], pa.list_(pa.string())), pa.array([[w for _, w in g] for g in got], pa.list_(pa.float64())), batch.column(1)], ["patterns", "weights", "toxic"])
 
-    tried = [(list(zip(r["patterns"], r["weights"], strict=True)), r["toxic"]) for r in rows.mapInArrow(match, "patterns array<string>, weights array<double>, toxic int").collect()]  # bounded by the sample
+    tried = [(list(zip(r["patterns"], r["weights"], strict=True)), r["toxic"]) for r in rows.mapInArrow(light(match), "patterns array<string>, weights array<double>, toxic int").collect()]  # bounded by the sample
     # a pattern's factor: how the odds of texts with one clause, of that pattern, compare with those of plain insults; few texts change little
     tally: dict[str, list[int]] = defaultdict(lambda: [0, 0])
     for g, y in tried:
@@ -286,12 +295,12 @@ def score(spark: SparkSession, docs: DataFrame, scorer: Scorer, held_out: Column
 
     def run(batches):
         s = shared.value
-        for batch in batches:
+        for batch in (p for b in batches for p in portions(b, 2)):
             got = [s.score(t) for t in batch.column(2).to_pylist()]
             columns = [pa.array([g[0] for g in got], pa.float64()), pa.array([int(g[0] >= 0.5) for g in got], pa.int32()), pa.array([g[1] for g in got], pa.int32())]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *columns], ["doc_id", "held_out", "score", "predicted", "clauses"])
 
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), held_out.alias("held_out"), "text").mapInArrow(run, SCHEMA)
+    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), held_out.alias("held_out"), "text").mapInArrow(light(run), SCHEMA)
 
 
 def classify(spark: SparkSession, docs: DataFrame, labels: DataFrame, modulus: int = 5, held: int = 0) -> DataFrame:
@@ -306,7 +315,7 @@ def accept(spark: SparkSession, docs: DataFrame, labels: DataFrame, modulus: int
     shared, at = spark.sparkContext.broadcast(scorer), docs.columns.index("text")
 
     def run(batches):
-        for batch in batches:
+        for batch in (p for b in batches for p in portions(b, at)):
             yield batch.filter(pa.array([shared.value.score(t)[0] < limit for t in batch.column(at).to_pylist()], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(light(run), docs.schema)

@@ -8,7 +8,8 @@ number, checks the total length that the last one states and decodes the chunks.
 
 Defined results: null html is an empty payload; pages that repeat an id are each a record, and of
 equal ids with equal payloads one is the response; rows with a null id are responses; an empty
-table writes nothing and gives an empty result; extra columns are ignored.
+table writes nothing and gives an empty result; a url's blanks, control characters and letters
+beyond ASCII are percent-encoded in headers; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -17,13 +18,14 @@ import hashlib
 import uuid
 import zlib
 from collections.abc import Iterator
+from urllib.parse import quote
 
 import pyarrow as pa
 import pyarrow.fs as pafs
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unionlake.llm.common import shared_folder
+from unionlake.llm.common import light, shared_folder
 
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 SEGMENTS = "origin string, number int, last boolean, total bigint, page_id bigint, kind string, refers_to bigint, said_digest string, block binary"
@@ -80,9 +82,14 @@ def records(source, piece: int = 1 << 20) -> Iterator[tuple[dict[str, str], byte
         yield headers, body[:n]
 
 
+def header_value(url: str) -> str:
+    """The url with blanks, control characters and what is not ASCII percent-encoded, so that it is one header line."""
+    return quote(url, safe="".join(map(chr, range(33, 127))), errors="replace")
+
+
 def page_records(page_id: int | None, url: str, payload: bytes, digest: str, refers_to: int | None, revisit: bool, segment_bytes: int) -> list[tuple[list[tuple[str, str]], bytes]]:
     own = f"<urn:uuid:{uuid.uuid4()}>"
-    common = [("WARC-Date", "2024-01-01T00:00:00Z"), ("WARC-Target-URI", url)]
+    common = [("WARC-Date", "2024-01-01T00:00:00Z"), ("WARC-Target-URI", header_value(url))]
     common += [("X-Page-ID", str(page_id))] if page_id is not None else []
     digests = [("WARC-Payload-Digest", f"sha1:{digest}")]
     kind = [("Content-Type", "application/http; msgtype=response")]
@@ -135,7 +142,7 @@ def write_archives(spark: SparkSession, pages: DataFrame, folder: str | None = N
             fs.move(name + ".part", name)
             done.append(name.rsplit("/", 1)[1])
 
-        for batch in batches:
+        for batch in (b.slice(at, 256) for b in batches for at in range(0, b.num_rows, 256)):
             for r in batch.to_pylist():
                 if sink is None:
                     name = f"{root}/part-{uuid.uuid4().hex}.warc.gz"
@@ -150,7 +157,7 @@ def write_archives(spark: SparkSession, pages: DataFrame, folder: str | None = N
         if done:
             yield pa.RecordBatch.from_pydict({"name": done})
 
-    return sorted(f"{folder}/{r['name']}" for r in rows.mapInArrow(write, "name string").collect())  # a name per archive
+    return sorted(f"{folder}/{r['name']}" for r in rows.mapInArrow(light(write), "name string").collect())  # a name per archive
 
 
 def read_segments(spark: SparkSession, paths: list[str]) -> DataFrame:
@@ -182,7 +189,7 @@ def read_segments(spark: SparkSession, paths: list[str]) -> DataFrame:
 
     if not paths:
         return spark.createDataFrame([], SEGMENTS)
-    return spark.createDataFrame([(p,) for p in paths], "path string").repartition(len(paths)).mapInArrow(read, SEGMENTS)
+    return spark.createDataFrame([(p,) for p in paths], "path string").repartition(len(paths)).mapInArrow(light(read), SEGMENTS)
 
 
 def reassemble(segments: DataFrame) -> DataFrame:
@@ -209,7 +216,7 @@ def payloads(recs: DataFrame) -> DataFrame:
     """The report of each record; a response's digest is taken from the decoded payload and held against the stated one."""
 
     def decode(batches):
-        for batch in batches:
+        for batch in (b.slice(at, 256) for b in batches for at in range(0, b.num_rows, 256)):
             out = []
             for r in batch.to_pylist():
                 head, _, body = r["block"].partition(b"\r\n\r\n")
@@ -226,7 +233,7 @@ def payloads(recs: DataFrame) -> DataFrame:
             columns = [pa.array([o[i] for o in out], k) for i, k in enumerate(kinds)]
             yield pa.RecordBatch.from_arrays(columns, [f.split()[0] for f in REPORT.split(", ")])
 
-    return recs.mapInArrow(decode, REPORT)
+    return recs.mapInArrow(light(decode), REPORT)
 
 
 def round_trip(spark: SparkSession, pages: DataFrame) -> DataFrame:
