@@ -15,7 +15,7 @@ from pyspark.sql import SparkSession  # noqa: E402
 
 
 #: The index and the settings of the headline search.
-N_C, SETTING, PHI_REF, PHI_R, QUANTIZED_PHI_C = 1024, {"phi_c": 32}, 20, 10, 4
+N_C, SETTING, PHI_REF, PHI_R, QUANTIZED_PHI_C = 1024, {"phi_c": 16}, 10, 5, 1
 DEADLINE = float(os.environ.get("BENCH_DEADLINE", "480"))
 
 
