@@ -143,19 +143,20 @@ def w_wide_lake(spark, sf, copies: int = 12):
     return out
 
 
-def lake_search(spark, sf, name: str, where: str, plan: se.Plan, n_c: int | None = None) -> DataFrame:
+def lake_search(spark, sf, name: str, where: str, plan: se.Plan, n_c: int | None = 64) -> DataFrame:
     build, dim = lakes.LAKES[name]
     cols = build(spark, sf).persist()
     sets = lakes.vec_sets(cols, dim).persist()
     queries = mt.collect_queries(cols.join(sets.where(where).select("set_id"), "set_id", "left_semi"))
     index = ix.build(cols, dim, n_c, 3)
+    index.sets, index.counts = index.sets.persist(), index.counts.persist()
     out = compared(spark, index, cols, sets, queries, plan)
-    for frame in (cols, sets):
+    for frame in (cols, sets, index.sets, index.counts):
         frame.unpersist()
     return out
 
 
-query("w_many_queries")(lambda s, d: lake_search(s, d, "conversation", "true", se.Plan(k=10, tau=0.3, phi_c=16, phi_ref=100, phi_r=60)))
+query("w_many_queries")(lambda s, d: lake_search(s, d, "conversation", "true", se.Plan(k=10, tau=0.3, phi_c=8, phi_ref=50, phi_r=30)))
 query("w_wide_queries")(lambda s, d: lake_search(s, d, "document", "n > 15", se.Plan(k=10, tau=0.3, phi_c=1, phi_ref=100, phi_r=30), 64))
 query("w_pages")(lambda s, d: lake_search(s, d, "page", sq.QUERIES, se.Plan(k=50, tau=0.3, phi_c=16, phi_ref=500, phi_r=150)))
 
