@@ -102,3 +102,18 @@ def test_graph_finds_neighbours():
     hits = [len({i for i, _ in g.top(q, 10)} & set(np.argsort(-(v @ q))[:10])) for q in v[:30]]
     assert sum(hits) / 300 >= 0.9
     assert K.ProximityGraph(v).degrees() == g.degrees()
+
+
+def test_many_problems_at_once_as_one_by_one():
+    pick = np.random.default_rng(5)
+    for n, p in itertools.product((1, 2, 4, 7), (1, 3, 6)):
+        for spread in (6, 10**6):
+            sims = np.where(pick.random((60, n, p)) < 0.6, pick.integers(0, spread, (60, n, p)), -1)
+            caps = pick.integers(1, 4, (60, p))
+            for card in (True, False):
+                t, u, to = K.assign_many(sims, caps, card)
+                assert [(int(x), int(y), z.tolist()) for x, y, z in zip(t, u, to)] == [(a, b, c.tolist()) for a, b, c in (K.assign(s, x, card) for s, x in zip(sims, caps))]
+                rows, edges = K.greedy_rows_many(sims, caps), K.greedy_edges_many(sims)
+                assert K.lower_bounds(rows, sims, caps, 3, card).tolist() == [K.lower_bound(K.greedy_rows(s, x), s, x, 3, card) for s, x in zip(sims, caps)]
+                assert K.lower_bounds(edges, sims, np.ones(p, np.int64), 3, card).tolist() == [K.lower_bound(K.greedy_edges(s), s, np.ones(p, np.int64), 3, card) for s in sims]
+            assert K.upper_bounds(sims, np.full(60, min(n, 2))).tolist() == [K.upper_bound(s, 2) for s in sims]
