@@ -64,3 +64,19 @@ def test_prepared_problems_change_no_count(spark):
             plain.see(i, K.Problem(s, np.ones(s.shape[1], np.int64), 1, True, False))
             ready.see(i, problems[i])
         assert plain.finish() == ready.finish() and plain.evals == ready.evals
+
+
+def test_examples_read_given_tables(spark):
+    from unionlake.plans import workload_queries as wq
+
+    for name, of, table in (("example_matching", sq, "embeddings"), ("pareto_front", wq, "part")):
+        assert any(f.endswith(f"{table}.parquet") for f in of.REGISTRY[name](spark, SF).inputFiles()), name
+
+
+def test_front_is_what_nothing_beats(spark):
+    from unionlake.plans import workload_queries as wq
+
+    pick = np.random.default_rng(2)
+    points = [(i, int(r), int(m)) for i, (r, m) in enumerate(pick.integers(0, 12, (90, 2)))]
+    got = {tuple(r) for r in wq.pareto_front(spark.createDataFrame(points, "i int, recall int, ms int")).collect()}
+    assert got == {p for p in points if not any(q[1] >= p[1] and q[2] <= p[2] and q[1:] != p[1:] for q in points)}
