@@ -23,3 +23,23 @@ def test_pairs_without_an_edge_join_together():
                 fast.see(i, lb, ub, lambda x=score: x)
         assert (plain.finish(), plain.evals) == (fast.finish(), fast.evals)
     assert together > 1000  # also while a score of 0 is among the k best
+
+
+def test_scores_that_are_never_asked_for_are_not_held():
+    rng, held, queued = np.random.default_rng(2), 0, 0
+    for _ in range(200):
+        rule, asked = K.Listing(3), set()
+
+        def score(i, x, asked=asked):
+            assert i not in asked  # once at most
+            asked.add(i)
+            return x
+
+        for i in range(300):
+            lb, x, ub = sorted(rng.integers(1, 1000, 3).tolist())
+            rule.see(i, lb, ub, lambda i=i, x=x: score(i, x))
+            assert not asked & set(rule.scores)
+        held, queued = held + len(rule.scores), queued + len(rule.queue)
+        rule.finish()
+        assert rule.evals == len(asked)
+    assert held < queued
